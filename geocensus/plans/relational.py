@@ -175,7 +175,7 @@ def _aggregates() -> None:
     _add("agg_hll", lambda s, d: T(s, d, "events").groupBy("event_type").agg(F.hll_sketch_agg("user_id").alias("h")).agg(F.hll_sketch_estimate(F.hll_union_agg("h")).alias("users")))
     for name, clause in (("agg_grouping_sets", "grouping sets ((l_returnflag), (l_linestatus), ())"), ("agg_cube", "cube (l_returnflag, l_linestatus)"), ("agg_rollup", "rollup (l_returnflag, l_linestatus)")):
         _plain(name, f"select l_returnflag, l_linestatus, cast(grouping(l_returnflag) * 2 + grouping(l_linestatus) as int) as g, count(*) as n from lineitem group by {clause}", ("lineitem",))
-    _add("agg_pivot", lambda s, d: T(s, d, "orders").groupBy("o_orderpriority").pivot("o_orderstatus", ["F", "O", "P"]).agg(F.count("*")).na.fill(0), "select o_orderpriority, count(*) filter (o_orderstatus = 'F') as F, count(*) filter (o_orderstatus = 'O') as O, count(*) filter (o_orderstatus = 'P') as P from orders group by 1")
+    _add("agg_pivot", lambda s, d: T(s, d, "orders").groupBy("o_orderpriority").pivot("o_orderstatus", ["F", "O", "P"]).agg(F.count(F.lit(1))).na.fill(0), "select o_orderpriority, count(*) filter (o_orderstatus = 'F') as F, count(*) filter (o_orderstatus = 'O') as O, count(*) filter (o_orderstatus = 'P') as P from orders group by 1")
     _add("agg_unpivot", lambda s, d: T(s, d, "labels").select("doc_id", "quality", "toxic").unpivot("doc_id", ["quality", "toxic"], "kind", "value"), "select doc_id, 'quality' as kind, quality as value from labels union all select doc_id, 'toxic', toxic from labels")
     _add("agg_percentile", lambda s, d: T(s, d, "documents").groupBy("lang").agg(F.expr("percentile(n_chars, 0.5)").alias("median")), "select lang, quantile_cont(n_chars, 0.5)::double as median from documents group by 1")
     _add("agg_percentile_approx", lambda s, d: T(s, d, "documents").agg(F.percentile_approx("n_chars", 0.9).alias("p90")))
@@ -194,7 +194,7 @@ def _windows() -> None:
     ):
         sql = f"select o_orderkey, {cols} from orders window w as (partition by o_custkey order by o_orderdate, o_orderkey)"
         _plain(name, sql, ("orders",), sql.replace("sum(o_orderkey) over (partition by o_custkey order by o_orderdate, o_orderkey rows between unbounded preceding and current row)", "(sum(o_orderkey) over (partition by o_custkey order by o_orderdate, o_orderkey rows between unbounded preceding and current row))::bigint").replace("row_number() over w", "(row_number() over w)::int").replace("rank() over w as rk", "(rank() over w)::int as rk").replace("dense_rank() over w as dr", "(dense_rank() over w)::int as dr").replace("ntile(4) over w", "(ntile(4) over w)::int"))
-    _add("win_range_frame", lambda s, d: T(s, d, "events").select("event_id", F.count("*").over(Window.partitionBy("user_id").orderBy(F.unix_micros("ts")).rangeBetween(-3_600_000_000, 0)).alias("n")), "select event_id, count(*) over (partition by user_id order by epoch_us(ts) range between 3600000000 preceding and current row) as n from events")
+    _add("win_range_frame", lambda s, d: T(s, d, "events").select("event_id", F.count("*").over(Window.partitionBy("user_id").orderBy(F.unix_micros(F.col("ts").cast("timestamp"))).rangeBetween(-3_600_000_000, 0)).alias("n")), "select event_id, count(*) over (partition by user_id order by epoch_us(ts) range between 3600000000 preceding and current row) as n from events")
     _add("win_share_of_total", lambda s, d: I.crawl_index(s, d).groupBy("tld").agg(F.count("*").alias("n")).withColumn("pct", F.round(100.0 * F.col("n") / F.sum("n").over(Window.partitionBy()), 4)), "select string_split(regexp_extract(url, '^[a-z]+://([^/?#:]+)', 1), '.')[-1] as tld, count(*) as n, round(100.0::double * count(*) / sum(count(*)) over (), 4) as pct from pages group by 1")
     _plain("win_topk_per_group", "select l_suppkey, l_orderkey, l_linenumber, l_partkey from (select *, row_number() over (partition by l_suppkey order by l_extendedprice desc, l_orderkey, l_linenumber, l_partkey, l_shipdate) as nth from lineitem) q where nth <= 3", ("lineitem",))
     _add("sort_global", lambda s, d: T(s, d, "orders").orderBy(F.desc("o_totalprice"), "o_orderkey").select("o_orderkey", "o_totalprice"), "select o_orderkey, o_totalprice from orders order by o_totalprice desc, o_orderkey")
@@ -215,7 +215,7 @@ def _functions() -> None:
     _add("fn_hash", lambda s, d: T(s, d, p).select("doc_id", F.md5("text").alias("a"), F.sha2("text", 256).alias("b"), F.sha1("text").alias("c")), "select doc_id, md5(text) as a, sha256(text) as b, sha1(text) as c from documents")
     _add("fn_hash_fast", lambda s, d: T(s, d, p).select("doc_id", F.xxhash64("text").alias("h")))
     _add("fn_date", lambda s, d: T(s, d, "orders").select("o_orderkey", F.year("o_orderdate").cast("long").alias("y"), F.quarter("o_orderdate").cast("long").alias("q"), F.date_trunc("month", "o_orderdate").alias("m"), F.datediff(F.lit("2000-01-01").cast("date"), F.col("o_orderdate").cast("date")).cast("long").alias("d"), F.unix_timestamp("o_orderdate").alias("u")), "select o_orderkey, year(o_orderdate) as y, quarter(o_orderdate) as q, date_trunc('month', o_orderdate)::timestamp as m, date_diff('day', o_orderdate::date, date '2000-01-01') as d, epoch(o_orderdate)::bigint as u from orders")
-    _add("fn_math", lambda s, d: T(s, d, "lineitem").select("l_orderkey", "l_linenumber", F.round("l_extendedprice", 1).alias("a"), F.floor("l_extendedprice").alias("b"), F.ceil(F.col("l_discount") * 100).alias("c"), F.round(F.sqrt("l_quantity"), 6).alias("e"), F.pmod("l_orderkey", F.lit(7)).alias("f"), F.col("l_quantity").cast("decimal(12,2)").alias("g")), "select l_orderkey, l_linenumber, round(l_extendedprice, 1) as a, floor(l_extendedprice)::bigint as b, ceil(l_discount * 100)::bigint as c, round(sqrt(l_quantity), 6) as e, l_orderkey % 7 as f, l_quantity::decimal(12,2) as g from lineitem")
+    _add("fn_math", lambda s, d: T(s, d, "lineitem").select("l_orderkey", "l_linenumber", F.round("l_extendedprice", 1).alias("a"), F.floor("l_extendedprice").alias("b"), F.ceil(F.col("l_discount") * 100).alias("c"), F.round(F.sqrt("l_quantity"), 6).alias("e"), F.pmod("l_orderkey", F.lit(7)).alias("f"), F.col("l_quantity").cast("decimal(12,2)").cast("double").alias("g")), "select l_orderkey, l_linenumber, round(l_extendedprice, 1) as a, floor(l_extendedprice)::bigint as b, ceil(l_discount * 100)::bigint as c, round(sqrt(l_quantity), 6) as e, l_orderkey % 7 as f, l_quantity::decimal(12,2)::double as g from lineitem")
     w = lambda: F.split("text", " ")
     _add("fn_array", lambda s, d: T(s, d, p).select("doc_id", F.size(w()).cast("long").alias("n"), F.size(F.array_distinct(w())).cast("long").alias("k"), F.size(F.filter(w(), lambda x: F.length(x) > 6)).cast("long").alias("long"), F.exists(w(), lambda x: x == "the").alias("the"), F.aggregate(F.transform(w(), F.length), F.lit(0), lambda a, x: a + x).cast("long").alias("chars"), F.element_at(F.sort_array(w()), 1).alias("low")), "select doc_id, len(string_split(text, ' ')) as n, len(list_distinct(string_split(text, ' '))) as k, len(list_filter(string_split(text, ' '), lambda x: length(x) > 6)) as long, list_contains(string_split(text, ' '), 'the') as the, list_sum(list_transform(string_split(text, ' '), lambda x: length(x)))::bigint as chars, list_sort(string_split(text, ' '))[1] as low from documents")
     _add("fn_map", lambda s, d: T(s, d, "labels").select("doc_id", F.create_map(F.lit("quality"), "quality", F.lit("toxic"), "toxic").alias("m")).select("doc_id", F.col("m")["toxic"].alias("toxic"), F.size(F.map_filter("m", lambda k, v: v > 0)).cast("long").alias("positive")), "select doc_id, toxic, (case when quality > 0 then 1 else 0 end + case when toxic > 0 then 1 else 0 end)::bigint as positive from labels")

@@ -11,13 +11,13 @@ from collections.abc import Callable, Iterator
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
 from geocensus.functions.columns import order_key
 from geocensus.sources import index as I
 
 Query = Callable[[SparkSession, str], DataFrame]
-_DAY0 = "timestamp '2023-01-01'"
 
 
 def _arrivals(s: SparkSession, sf_dir: str, name: str = "events", files: int = 1) -> DataFrame:
@@ -25,7 +25,16 @@ def _arrivals(s: SparkSession, sf_dir: str, name: str = "events", files: int = 1
     src = I.table(s, sf_dir, name)
     path = I.scratch(s, f"arrivals-{name}")
     src.repartitionByRange(files, "ts").sortWithinPartitions("ts").write.parquet(path) if files > 1 else src.coalesce(1).write.parquet(path)
-    return s.readStream.schema(src.schema).option("maxFilesPerTrigger", 1).parquet(path)
+    return _timed(s.readStream.schema(src.schema).option("maxFilesPerTrigger", 1).parquet(path))
+
+
+def _timed(df: DataFrame) -> DataFrame:
+    """``ts`` as a timestamp with a zone, which watermarks need."""
+    return df.withColumn("ts", F.col("ts").cast("timestamp"))
+
+
+def _files(s: SparkSession, path: str, like: DataFrame) -> DataFrame:
+    return _timed(s.readStream.schema(like.schema).option("recursiveFileLookup", True).option("maxFilesPerTrigger", 1).parquet(path))
 
 
 def _drained(df: DataFrame, mode: str, key: str | None = None) -> DataFrame:
@@ -39,7 +48,7 @@ def _drained(df: DataFrame, mode: str, key: str | None = None) -> DataFrame:
 
     q = df.writeStream.outputMode(mode).queryName(n).option("checkpointLocation", check).trigger(availableNow=True).foreachBatch(keep).start()
     q.awaitTermination()
-    rows = s.read.schema(df.schema.add("batch", "int")).option("basePath", out).parquet(out)
+    rows = s.read.schema(T.StructType([*df.schema.fields, T.StructField("batch", T.IntegerType())])).option("basePath", out).parquet(out)
     if mode == "append":
         return rows.drop("batch")
     return rows.groupBy(key).agg(*[F.max_by(c, "batch").alias(c) for c in df.columns if c != key])
@@ -64,9 +73,9 @@ def session(s: SparkSession, d: str) -> DataFrame:
     path = I.scratch(s, "sessions")
     e.coalesce(1).write.parquet(f"{path}/a")
     end.write.parquet(f"{path}/b")
-    stream = s.readStream.schema(e.schema).option("recursiveFileLookup", True).option("maxFilesPerTrigger", 1).parquet(path).withWatermark("ts", "40 days")
+    stream = _files(s, path, e).withWatermark("ts", "40 days")
     g = stream.groupBy("user_id", F.session_window("ts", "6 hours")).agg(F.count("*").alias("n"))
-    return _drained(g.select("user_id", F.col("session_window.start").alias("start"), "n"), "append").where("user_id >= 0")
+    return _drained(g.select("user_id", F.col("session_window.start").cast("timestamp_ntz").alias("start"), "n"), "append").where("user_id >= 0")
 
 
 def late_rows(s: SparkSession, d: str) -> DataFrame:
@@ -75,11 +84,13 @@ def late_rows(s: SparkSession, d: str) -> DataFrame:
     lo = e.agg(F.min(F.date_trunc("day", "ts")).alias("lo"))
     path = I.scratch(s, "late")
     e.coalesce(1).write.parquet(f"{path}/a")
+    # The filter on late rows follows the watermark by one batch, so one row goes between.
+    e.orderBy(F.desc("ts"), "event_id").limit(1).coalesce(1).write.parquet(f"{path}/between")
     late = e.join(F.broadcast(lo), F.date_trunc("day", "ts") == F.col("lo")).select("event_id", "ts")
     late.coalesce(1).write.parquet(f"{path}/b")
-    stream = s.readStream.schema(e.schema).option("recursiveFileLookup", True).option("maxFilesPerTrigger", 1).parquet(path).withWatermark("ts", "1 hour")
+    stream = _files(s, path, e).withWatermark("ts", "1 hour")
     g = stream.groupBy(F.window("ts", "1 day")).agg(F.count("*").alias("n"))
-    return _drained(g.select(F.col("window.start").alias("day"), "n"), "append")
+    return _drained(g.select(F.col("window.start").cast("timestamp_ntz").alias("day"), "n"), "append")
 
 
 def dedup(s: SparkSession, d: str) -> DataFrame:
@@ -87,7 +98,7 @@ def dedup(s: SparkSession, d: str) -> DataFrame:
     path = I.scratch(s, "twice")
     e.coalesce(1).write.parquet(f"{path}/a")
     e.where("event_id % 2 = 0").coalesce(1).write.parquet(f"{path}/b")
-    stream = s.readStream.schema(e.schema).option("recursiveFileLookup", True).option("maxFilesPerTrigger", 1).parquet(path)
+    stream = _files(s, path, e)
     return _drained(stream.withWatermark("ts", "40 days").dropDuplicatesWithinWatermark(["event_id"]).select("event_id"), "append")
 
 

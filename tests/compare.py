@@ -8,6 +8,8 @@ import time
 import traceback
 
 import duckdb
+import numpy as np
+import pandas as pd
 
 sys.path.insert(0, os.path.dirname(os.path.dirname(os.path.abspath(__file__))))
 
@@ -32,7 +34,7 @@ def duck(sf: str):  # noqa: ANN201
 
 def rows(frame) -> list[tuple]:  # noqa: ANN001
     names = sorted(frame.columns)
-    return sorted((tuple(None if x is None or x != x else round(x, 9) if isinstance(x, float) else str(x) for x in r) for r in frame[names].astype(object).itertuples(index=False)), key=str)
+    return sorted((tuple(None if pd.isna(x) else str(x) if not isinstance(x, (int, float, np.number)) or isinstance(x, bool) else round(float(x), 9) for x in r) for r in frame[names].astype(object).itertuples(index=False)), key=str)
 
 
 def same(spark_frame, duck_frame) -> str:  # noqa: ANN001
