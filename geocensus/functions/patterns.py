@@ -54,4 +54,4 @@ ANY_DECIMAL = r"[0-9]{1,3}\.[0-9]+"
 ANY_PAIR = r"-?[0-9]{1,3}\.[0-9]+[ ]?[,; ][ ]?-?[0-9]{1,3}\.[0-9]+"
 #: Words whose presence is a cheap reason to look closer at addresses.
 KEYWORDS = ("street", "avenue", "road", "latitude", "longitude", "postcode", "address")
-LICENCE = r"version [0-9]+\.[0-9]+|Version [0-9]+\.[0-9]+|License, [Vv]ersion"
+LICENCE = r"[Vv]ersion [0-9]+\.[0-9]+"
