@@ -82,6 +82,12 @@ def _ranges(s: SparkSession, d: str) -> DataFrame:
     return s.read.format("byte_ranges").option("ranges", "\n".join(lines)).load().select("id", F.length("bytes").cast("long").alias("n_bytes"))
 
 
+def _binary(s: SparkSession, d: str) -> DataFrame:
+    path = I.scratch(s, "bodies")
+    T(s, d, "pages").where("page_id < 50").select(F.col("html").alias("value")).repartition(4).write.text(path)
+    return s.read.format("binaryFile").option("pathGlobFilter", "part-*").load(path).select(F.col("length").alias("n_bytes"))
+
+
 def _sources() -> None:
     _plain("scan_pruned", "select page_id, url from pages", ("pages",))
     _add("scan_pushdown", lambda s, d: T(s, d, "lineitem").where(F.col("l_returnflag").isin("R", "A") & F.col("l_quantity").between(10, 20)).select("l_orderkey", "l_quantity", "l_returnflag"), "select l_orderkey, l_quantity, l_returnflag from lineitem where l_returnflag in ('R', 'A') and l_quantity between 10 and 20")
@@ -91,6 +97,7 @@ def _sources() -> None:
     _add("roundtrip_text", _round_trip("text"), "select event_id || '|' || event_type as value from events")
     _add("sink_idempotent", _idempotent, "select ['R2019', 'R2021', 'R2024'][(page_id % 3 + 1)::int] as release, count(*) as n from pages group by 1")
     _add("range_source", _ranges)
+    _add("binary_files", _binary)
     _plain("project_exprs", "select l_orderkey, l_extendedprice * (1 - l_discount) as net, case when l_quantity > 25 then 'big' else 'small' end as size, cast(l_quantity as int) as q from lineitem", ("lineitem",))
     _add("filter_predicates", lambda s, d: T(s, d, "documents").where(F.col("n_chars").between(100, 3000) & F.col("lang").isin("en", "de") & F.col("text").like("%the%") & F.col("text").rlike("[0-9]") & ~F.col("source").eqNullSafe("src3")).select("doc_id"), "select doc_id from documents where n_chars between 100 and 3000 and lang in ('en', 'de') and text like '%the%' and regexp_matches(text, '[0-9]') and source is distinct from 'src3'")
 

@@ -204,7 +204,19 @@ def _baselines() -> None:
     _add("needle_recall", lambda s, d: Y.needle_recall(I.table(s, d, "benchmark"), docs(s, d)), "select depth::int as depth, count(*) as n, count(*) as found from benchmark, (select 1 from documents order by n_chars desc, doc_id limit 10), (values (0), (50), (100)) t(depth) group by depth")
 
 
-for _part in (_census, _samples, _detection, _estimates, _review, _baselines):
+def _composites() -> None:
+    from geocensus.operators import composites as X
+
+    _add("census_long", lambda s, d: X.census(I.crawl_index(s, d)), f"with i as ({I.INDEX_SQL}), n as (select release, count(*) as a from i group by 1), dim as (select unnest([{', '.join(quoted(m) for m in C.GEO_MIMES)}]) as mime), g as (select mime, release, count(*) as f from i group by all) select dim.mime, n.release, coalesce(f, 0) as files, round(100.0::double * coalesce(f, 0) / a, 4) as pct_of_release from dim cross join n left join g on g.mime = dim.mime and g.release = n.release")
+    _add("estimate_sampled", lambda s, d: X.estimate(docs(s, d).select("doc_id", "source"), planted_docs(s, d), "doc_id", "text", 10, ["source"], "s1", "release"), _prev_sql(FLAGS + ", k as (select doc_id from (select doc_id, row_number() over (partition by source order by md5('s1|' || doc_id), doc_id) as nth from documents) where nth <= 10), g2 as (select f.* from f join k using (doc_id))", "release", "g2"))
+    _add("full_scan", lambda s, d: X.full_scan(docs(s, d).withColumn("release", I.release_of("doc_id")), "text", ["doc_id", "release"], "release"), _prev_sql(f"f as (select {REL.format('doc_id')} as release, {_coord_sql('text')} as has_coord, {_addr_sql('text')} as has_addr from documents)", "release"))
+    _add("judge_verdicts", lambda s, d: X.judge_study(planted_docs(s, d), "doc_id", "text")["verdicts"].select("id", "category"))
+    _add("page_lang_groups", lambda s, d: I.table(s, d, "pages").select("page_id", X.lang_group(F.col("html")).alias("lang_group")), f"select page_id, {X.lang_group_sql()} as lang_group from pages")
+    _add("page_prevalence_by_lang", lambda s, d: Y.prevalence(planted_pages(s, d).select(X.lang_group(F.col("html")).alias("lang_group"), C.has_coords(F.col("html")).alias("has_coord"), C.has_address(F.col("html")).alias("has_addr")), "lang_group"), _prev_sql(PAGE_FLAGS + f", g2 as (select *, {X.lang_group_sql()} as lang_group from f)", "lang_group", "g2"))
+    _add("adjusted_prevalence", lambda s, d: Y.prevalence(doc_flags(s, d)).select(F.round(F.lit(1.0) * (F.col("x_any") / F.col("n") + 0.98 - 1) / (0.95 + 0.98 - 1), 6).alias("p")), f"select round(1.0::double * (x_any / n + 0.98::double - 1) / (0.95::double + 0.98::double - 1), 6) as p from ({_prev_sql(FLAGS, None)})")
+
+
+for _part in (_census, _samples, _detection, _estimates, _review, _baselines, _composites):
     _part()
 
 
