@@ -11,7 +11,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from geocensus.llm.shared import WordHasher, gram_hashes, materialise, runs, text_or_empty, words_py
+from geocensus.llm.shared import WordHasher, gram_hashes, materialise, mixed, runs, text_or_empty, words_py
 
 WINDOW = 20
 #: Words of an anchor.  Each window selects the anchor with the smallest hash in it, the last of equal ones: equal windows select
@@ -55,9 +55,9 @@ def _segments(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
     for b in batches:
         out = []
         for i, t, at, hot in zip(b["doc_id"], b["t"], b["at"], b["hot"], strict=True):
-            place = selected(gram_hashes(h.words(t), ANCHOR))
-            words = words_py(t)
             grams = gram_hashes(h.words(t), ANCHOR)
+            place = selected(grams)
+            words = words_py(t)
             hot_of = dict(zip(at, hot, strict=True))
             lo, hi = np.searchsorted(place, list(at)), np.searchsorted(place, list(at), "right")
             for p, x, y in zip(at, lo.tolist(), hi.tolist(), strict=True):
@@ -77,35 +77,36 @@ def covered(starts: list[int]) -> list[tuple[int, int]]:
 
 
 def _located(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-    """One shard after another: windows seen twice are its phrases, their automaton reads all its segments, and every occurrence
-    but the first gives the words it covers."""
+    """One shard after another: windows seen twice are its phrases, their automaton over word numbers reads all its segments, and
+    every occurrence but the first gives the words it covers."""
     for g in runs(batches, ["shard"]):
-        ids, starts = g["doc_id"].tolist(), g["start"].tolist()
-        number: dict[str, int] = {}
-        texts = [tuple([number.setdefault(w, len(number)) for w in s.split(" ")]) for s in g["words"]]
-        seen: dict[tuple[int, ...], int] = {}
-        for t in texts:
-            for k in range(len(t) - WINDOW + 1):
-                w = t[k : k + WINDOW]
-                seen[w] = seen.get(w, 0) + 1
-        machine = ahocorasick.Automaton(ahocorasick.STORE_ANY, ahocorasick.KEY_SEQUENCE)
-        phrases = [w for w, n in seen.items() if n > 1]
-        del seen
-        for n, w in enumerate(phrases):
-            machine.add_word(w, n)
+        ids, starts, rows = g["doc_id"].tolist(), g["start"].tolist(), g["words"].tolist()
+        sizes = np.array([s.count(" ") + 1 for s in rows])
+        number = pd.factorize(np.array(" ".join(rows).split(" "), object))[0]
+        row = np.repeat(np.arange(len(rows)), sizes)
+        at = np.flatnonzero(row[: len(row) - WINDOW + 1] == row[WINDOW - 1 :])
+        _, first_at, n = np.unique(gram_hashes(mixed(number.astype(np.uint64)), WINDOW)[at], return_index=True, return_counts=True)
+        phrases = at[first_at[n > 1]].tolist()
         if not phrases:
             continue
+        number = number.tolist()
+        machine = ahocorasick.Automaton(ahocorasick.STORE_ANY, ahocorasick.KEY_SEQUENCE)
+        for n, p in enumerate(phrases):
+            machine.add_word(tuple(number[p : p + WINDOW]), n)
         machine.make_automaton()
         first = [(2**63, 0)] * len(phrases)
         hits: list[list[tuple[int, int]]] = []
-        for i, s, t in zip(ids, starts, texts, strict=True):
-            own = [(s + end - WINDOW + 1, n) for end, n in machine.iter(t)]
-            for at, n in own:
-                first[n] = min(first[n], (i, at))
+        lo = 0
+        for i, s, size in zip(ids, starts, sizes.tolist(), strict=True):
+            own = [(s + end - WINDOW + 1, n) for end, n in machine.iter(tuple(number[lo : lo + size]))]
+            lo += size
+            for k, n in own:
+                if (i, k) < first[n]:
+                    first[n] = (i, k)
             hits.append(own)
         out = []
         for i, own in zip(ids, hits, strict=True):
-            out += [(i, a, b) for a, b in covered([at for at, n in own if first[n] != (i, at)])]
+            out += [(i, a, b) for a, b in covered([k for k, n in own if first[n] != (i, k)])]
         yield pd.DataFrame(out, columns=["doc_id", "lo", "hi"]).astype("int64")
 
 
