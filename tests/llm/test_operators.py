@@ -155,6 +155,26 @@ def test_main_text(spark):
     assert got[1] == "Head & line\nOne two.\nThree © four five six seven eight." and got[2].endswith("Drei © four five six seven eight.") and got[3] == got[4] == ""
 
 
+PROSE = "A sentence of plain prose that goes on for long enough to count in full. "
+PAGES = {
+    "nested": ("<nav>menu</nav><article><h1>Head</h1><p>Lead.</p><div class='body'><p>" + 9 * PROSE + "</p></div></article>", ["Head", "Lead.", "prose"], ["menu"]),
+    "header": ("<article><header><h1>Head</h1></header><div class='x'>" + 9 * PROSE + "</div></article><footer>foot</footer>", ["Head"], ["foot"]),
+    "sections": ("<article><section class='intro'>First. " + 8 * PROSE + "</section><section class='methods'>Second. " + 5 * PROSE + "</section></article>", ["First.", "Second."], []),
+    "list": ("<article><p>Before.</p><p>" + 3 * PROSE + "</p><ul>" + "".join(f"<li>item {i} " + PROSE for i in range(30)) + "</ul><p>After.</p></article>", ["Before.", "item 29", "After."], []),
+    "plain": ("<body><nav>menu</nav><div class='wrap'><h2>Head</h2><div class='a'>One. " + 9 * PROSE + "</div><div class='b'>Two. " + 2 * PROSE + "</div></div><div class='sidebar'>" + PROSE + "aside</div></body>", ["Head", "One.", "Two."], ["menu", "aside"]),
+    "ended": ("<article><p>Start. <a name='x'/>" + 3 * PROSE + "</p><svg/><div/><p>End.</p></article>", ["Start.", "End."], []),
+    "named": ("<div class='page has-sidebar'><div class='share-wrap'><p>Text. " + 9 * PROSE + "</p></div></div><div class='comments'>" + PROSE + "me too</div>", ["Text."], ["me too"]),
+}
+
+
+@pytest.mark.parametrize("name", sorted(PAGES))
+def test_main_text_is_whole(spark, name):
+    page, inside, outside = PAGES[name]
+    d = spark.createDataFrame([(1, "http://a.org/1", page), (2, "http://a.org/2", page)], "page_id long, url string, html string")
+    for r in page_text.main_text(d).collect():
+        assert all(x in r["text"] for x in inside) and not any(x in r["text"] for x in outside)
+
+
 def _split(sf, label, n):
     c = duckdb.connect()
     rows = c.execute(f"select doc_id, text, {label} from '{sf}/documents.parquet' join '{sf}/labels.parquet' using (doc_id)").fetchall()
