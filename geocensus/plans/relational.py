@@ -65,26 +65,20 @@ def _idempotent(s: SparkSession, d: str) -> DataFrame:
 
 
 def _ranges(s: SparkSession, d: str) -> DataFrame:
-    """Bodies of a sample, written as archive files of one record each line and read again by byte range; a request of 30."""
-    import os
-    import tempfile
-
-    rows = T(s, d, "pages").select("page_id", "html").orderBy(C.order_key("range", "page_id")).limit(30).collect()
-    path = os.path.join(tempfile.mkdtemp(), "part-0.arc")
-    lines, at = [], 0
-    with open(path, "wb") as f:
-        for r in rows:
-            b = (r["html"] or "").encode()
-            f.write(b)
-            lines.append(f"{path}|{r['page_id']}|{at}|{len(b)}")
-            at += len(b)
+    """All bodies, written by the executors as archive files in the shared folder, and read again at every offset of the index."""
+    path = I.scratch(s, "archives")
+    I.write_archives(T(s, d, "pages"), path)
+    i = I.with_offsets(I.crawl_index(s, d)).select(F.concat(F.lit(I.local(path) + "/"), I.archive_name(), F.lit(".arc")).alias("path"), "page_id", "offset", F.coalesce("length", F.lit(0)).alias("length"))
+    lists = I.scratch(s, "ranges")
+    i.repartition("path").sortWithinPartitions("path", "offset").select(F.concat_ws("|", "path", "page_id", "offset", "length")).write.text(lists)
     s.dataSource.register(I.RangeSource)
-    return s.read.format("byte_ranges").option("ranges", "\n".join(lines)).load().select("id", F.length("bytes").cast("long").alias("n_bytes"))
+    return s.read.format("byte_ranges").option("lists", I.local(lists)).load().select("id", F.length("bytes").cast("long").alias("n_bytes"))
 
 
 def _binary(s: SparkSession, d: str) -> DataFrame:
+    """All bodies as files of at most 10,000 records; only the files' lengths are read."""
     path = I.scratch(s, "bodies")
-    T(s, d, "pages").where("page_id < 50").select(F.col("html").alias("value")).repartition(4).write.text(path)
+    T(s, d, "pages").select(F.coalesce("html", F.lit("")).alias("value")).write.option("maxRecordsPerFile", 10_000).text(path)
     return s.read.format("binaryFile").option("pathGlobFilter", "part-*").load(path).select(F.col("length").alias("n_bytes"))
 
 

@@ -2,9 +2,11 @@
 
 from __future__ import annotations
 
+import os
 import uuid
 from collections.abc import Iterator
 
+import pandas as pd
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 from pyspark.sql.datasource import DataSource, DataSourceReader, InputPartition
@@ -27,6 +29,11 @@ def scratch(spark: SparkSession, label: str) -> str:
     return f"{shared_dir(spark).rstrip('/')}/{label}-{uuid.uuid4().hex}"
 
 
+def local(path: str) -> str:
+    """``path`` as a task opens it: the shared folder is mounted everywhere."""
+    return "/" + path[5:].lstrip("/") if path.startswith("file:") else path
+
+
 def release_of(id_col: str) -> Column:
     return F.element_at(F.array(*[F.lit(r) for r in RELEASES]), (F.pmod(F.col(id_col), F.lit(3)) + 1).cast("int"))
 
@@ -68,8 +75,41 @@ def coalesce_ranges(ranges: DataFrame, gap: int) -> DataFrame:
     return d.groupBy("warc_file", "island").agg(F.min("offset").alias("lo"), F.max(F.col("offset") + F.col("length")).alias("hi"), F.count("*").alias("records")).drop("island")
 
 
+def archive_name() -> Column:
+    return F.concat_ws("-", "release", "part")
+
+
+def write_archives(pages: DataFrame, path: str) -> None:
+    """The bodies of each (release, part), by id, as the bytes of one file ``release-part.arc``; null bodies have no bytes.
+
+    A file takes its name when it is whole, so a repeated task replaces it.
+    """
+    folder = local(path)
+
+    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        os.makedirs(folder, exist_ok=True)
+        name, part, f, n = None, "", None, 0
+        for b in batches:
+            for to, html in zip(b["name"], b["html"], strict=True):
+                if to != name:
+                    if f:
+                        f.close()
+                        os.replace(part, f"{folder}/{name}.arc")
+                    name, part, n = to, f"{folder}/{to}.{uuid.uuid4().hex}", n + 1
+                    f = open(part, "wb")  # noqa: SIM115
+                f.write((html or "").encode())
+        if f:
+            f.close()
+            os.replace(part, f"{folder}/{name}.arc")
+        yield pd.DataFrame({"files": [n]})
+
+    part = F.pmod(F.floor(F.col("page_id") / 3), F.lit(PARTS)).cast("int")
+    p = pages.select("page_id", "html", release_of("page_id").alias("release"), part.alias("part")).select("page_id", "html", archive_name().alias("name"))
+    p.repartition("name").sortWithinPartitions("name", "page_id").mapInPandas(run, "files long").write.format("noop").mode("overwrite").save()
+
+
 class _Range(InputPartition):
-    def __init__(self, path: str, items: list[tuple[int, int, int]]):
+    def __init__(self, path: str, items: list[tuple[int, int, int]] | None):
         super().__init__(path)
         self.path, self.items = path, items
 
@@ -78,6 +118,7 @@ class RangeSource(DataSource):
     """``id, bytes``: records of archive files, read by (path, offset, length).
 
     Option ``ranges`` has ``path|id|offset|length`` lines, as a stated request; each file is one partition, read in order.
+    Option ``lists`` names a folder of text files of such lines, for requests of any size; each list is one partition, read by its task.
     """
 
     @classmethod
@@ -88,7 +129,7 @@ class RangeSource(DataSource):
         return "id long, bytes binary"
 
     def reader(self, schema) -> DataSourceReader:  # noqa: ANN001
-        return _RangeReader(self.options["ranges"])
+        return _ListReader(self.options["lists"]) if "lists" in self.options else _RangeReader(self.options["ranges"])
 
 
 class _RangeReader(DataSourceReader):
@@ -109,6 +150,28 @@ class _RangeReader(DataSourceReader):
                 yield i, f.read(length)
 
 
+class _ListReader(DataSourceReader):
+    def __init__(self, folder: str):
+        self.folder = folder
+
+    def partitions(self) -> list[InputPartition]:
+        return [_Range(f"{self.folder}/{n}", None) for n in sorted(os.listdir(self.folder)) if n.startswith("part-")]
+
+    def read(self, partition: InputPartition) -> Iterator[tuple[int, bytes]]:
+        path, f = None, None
+        with open(partition.path) as lines:
+            for line in lines:
+                to, i, offset, length = line.rstrip("\n").rsplit("|", 3)
+                if to != path:
+                    if f:
+                        f.close()
+                    path, f = to, open(to, "rb")  # noqa: SIM115
+                f.seek(int(offset))
+                yield int(i), f.read(int(length))
+        if f:
+            f.close()
+
+
 def fetch_by_scan(docs: DataFrame, ids: DataFrame, id_col: str) -> DataFrame:
     """The baseline: all bodies are scanned, the sampled ids kept.  Ids are broadcast up to 200,000, a sample's size."""
     few = ids.select(id_col).limit(200_001).count() <= 200_000

@@ -96,3 +96,22 @@ def test_ask_any_judge(spark, sf):
 def test_empty_tables(spark, n):
     d = spark.createDataFrame([(1, None)][:n], "id long, t string")
     assert Y.prevalence(Y.doc_flags(d, "t", ["id"])).first()["x_any"] == 0
+
+
+def test_archives_hold_every_page(spark, sf):
+    from geocensus.plans import relational
+
+    pages = {r["page_id"]: len((r["html"] or "").encode()) for r in I.table(spark, sf, "pages").collect()}
+    assert {r["id"]: r["n_bytes"] for r in relational.queries()["range_source"](spark, sf).collect()} == pages
+    more = I.table(spark, sf, "pages").withColumn("page_id", F.col("page_id") + 1_000_000)
+    folder = I.scratch(spark, "pages-test")
+    I.table(spark, sf, "pages").unionByName(more).write.parquet(f"{folder}/pages.parquet")
+    files = relational.queries()["binary_files"](spark, folder).agg(F.sum("n_bytes")).first()[0]
+    assert files == 2 * (sum(pages.values()) + len(pages))
+    back = spark.read.format("byte_ranges")  # every byte, not only lengths
+    path, lists = I.scratch(spark, "archives"), I.scratch(spark, "lists")
+    I.write_archives(I.table(spark, sf, "pages"), path)
+    i = I.with_offsets(I.crawl_index(spark, sf)).select(F.concat_ws("|", F.concat(F.lit(path + "/"), I.archive_name(), F.lit(".arc")), "page_id", "offset", "length"))
+    i.write.text(lists)
+    got = {r["id"]: bytes(r["bytes"]) for r in back.option("lists", lists).load().collect()}
+    assert got == {r["page_id"]: (r["html"] or "").encode() for r in I.table(spark, sf, "pages").collect()}
