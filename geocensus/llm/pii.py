@@ -105,8 +105,8 @@ def bootstrap(scanned: DataFrame, rounds: int = 3, support: int = 5, least: floa
     """``inst, n, conf``: identifiers that the contexts of seeds vouch for, with their kind's number.
 
     A pattern is the word before, the word after, or both.  Its score for a kind is the confidence of its instances of that
-    kind over all its distinct instances; patterns with ``support`` seeds and a score of ``least`` stay, and an instance's
-    confidence is one less the product of its patterns' doubts.  Each round is two aggregates over narrow rows.
+    kind over all its distinct instances; patterns with ``support`` instances, discovered ones counted by their confidence, and a score of
+    ``least`` stay, and an instance's confidence is one less the product of its patterns' doubts.  Each round is two aggregates over narrow rows.
     """
     sides = F.array(
         F.struct(F.lit("L").alias("side"), F.col("x.left").alias("word")), F.struct(F.lit("R").alias("side"), F.col("x.right").alias("word")),
@@ -120,8 +120,8 @@ def bootstrap(scanned: DataFrame, rounds: int = 3, support: int = 5, least: floa
     totals = pairs.groupBy("side", "word").agg(F.count("*").alias("total"))
     conf = known
     for _ in range(rounds):
-        score = pairs.join(conf, "inst").groupBy("side", "word", "n").agg(F.sum("conf").alias("mass"), F.count_if(F.col("conf") == 1.0).alias("seeds"))
-        score = score.where(F.col("seeds") >= support).join(totals, ["side", "word"]).withColumn("score", F.col("mass") / F.col("total")).where(F.col("score") >= least)
+        score = pairs.join(conf, "inst").groupBy("side", "word", "n").agg(F.sum("conf").alias("mass"))
+        score = score.where(F.col("mass") >= support).join(totals, ["side", "word"]).withColumn("score", F.col("mass") / F.col("total")).where(F.col("score") >= least)
         doubt = F.sum(F.log(1.0 - 0.999 * F.col("score")))
         found = pairs.join(score.select("side", "word", "n", "score"), ["side", "word"]).groupBy("inst", "n").agg((1.0 - F.exp(doubt)).alias("conf"))
         conf = materialise(known.unionByName(found.join(known, ["inst"], "left_anti")), "pii-conf")

@@ -104,6 +104,14 @@ def test_contexts_discover_identifiers(spark):
     assert got[100]["spans"].startswith("email:18:") and got[100]["n_email"] == 0
 
 
+def test_discovered_identifiers_vouch_for_contexts(spark):
+    rows = [(i, f"well then contact user{i}@mail.org today {i}") for i in range(80)]
+    rows += [(100 + i, f"well then contact jdoe77{i}_at_mail today then") for i in range(12)]
+    rows += [(200 + i, f"please kindly forward jdoe77{i}_at_mail onwards quickly") for i in range(12)] + [(300, "please kindly forward zoe9988_at_home onwards quickly")]
+    got = {r["doc_id"]: r["spans"] for r in pii.digest(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert all(got[100 + i].startswith("email:18:") for i in range(12)) and got[300] == "email:22:37"
+
+
 def test_pieces_equal_the_library(spark, sf):
     codec = piece_codec.PieceCodec(model_path())
     texts = ["", " ", "a ", "▁", "a▁b", "\n\n a\t b", "日本語 😀", "a\x00b", "   a   b   ", "\r\n x;\r"] + [r["text"] for r in read(spark, sf, "documents").collect()]
