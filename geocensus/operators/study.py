@@ -90,14 +90,15 @@ def coord_sources(df: DataFrame, text_col: str) -> DataFrame:
 # Profiles.
 
 
-def language_balance(population: DataFrame, sample: DataFrame, top: int = 20, exclude: str = "en") -> DataFrame:
+def language_balance(population: DataFrame, sample: DataFrame, top: int | None = 20, exclude: str = "en") -> DataFrame:
     def share(d: DataFrame, name: str) -> DataFrame:
         g = d.groupBy(F.coalesce("lang", F.lit("UNK")).alias("lang")).agg(F.count("*").alias("n"))
         return g.crossJoin(F.broadcast(d.agg(F.count("*").alias("all")))).select("lang", F.round(100.0 * F.col("n") / F.col("all"), 4).alias(name))
 
     out = share(population, "pop_pct").join(share(sample, "sample_pct"), "lang", "full_outer").where(F.col("lang") != exclude)
     out = out.select("lang", F.coalesce("pop_pct", F.lit(0.0)).alias("pop_pct"), F.coalesce("sample_pct", F.lit(0.0)).alias("sample_pct"))
-    return out.withColumn("diff", F.round(F.col("sample_pct") - F.col("pop_pct"), 4)).orderBy(F.desc("pop_pct"), "lang").limit(top)
+    out = out.withColumn("diff", F.round(F.col("sample_pct") - F.col("pop_pct"), 4))
+    return out if top is None else out.orderBy(F.desc("pop_pct"), "lang").limit(top)
 
 
 def total_variation(balance: DataFrame) -> DataFrame:

@@ -154,9 +154,9 @@ def _estimates() -> None:
     _add("stability", lambda s, d: Y.stability(Y.prevalence(doc_flags(s, d), "release"), "release"), f"select round(max(pct_any) - min(pct_any), 4) as spread_pp from ({_prev_sql(FLAGS, 'release')}) where release <> 'all'")
     _add("extrapolation", lambda s, d: Y.extrapolate(Y.prevalence(doc_flags(s, d)), 250e9), f"select 250e9::double * x_any / n as documents from ({_prev_sql(FLAGS, None)})")
     lang = "with p as (select coalesce(lang, 'UNK') as lang, round(100.0::double * count(*) / (select count(*) from documents), 4) as pop_pct from documents group by 1), k as (select * from documents where ('0x' || substr(md5('lb|' || doc_id), 1, 8))::bigint < 858993459), s as (select coalesce(lang, 'UNK') as lang, round(100.0::double * count(*) / (select count(*) from k), 4) as sample_pct from k group by 1), b as (select lang, coalesce(pop_pct, 0) as pop_pct, coalesce(sample_pct, 0) as sample_pct, round(coalesce(sample_pct, 0) - coalesce(pop_pct, 0), 4) as diff from p full join s using (lang) where lang <> 'en')"
-    balance = lambda s, d: Y.language_balance(docs(s, d), S.bernoulli_sample(docs(s, d), 0.2, "lb", ["doc_id"]))
+    balance = lambda s, d, top=20: Y.language_balance(docs(s, d), S.bernoulli_sample(docs(s, d), 0.2, "lb", ["doc_id"]), top)
     _add("language_balance", balance, f"{lang} select * from b")
-    _add("language_distance", lambda s, d: Y.total_variation(balance(s, d)), f"{lang} select round(sum(abs(diff)) / 2.0::double, 4) as tv_pct from b")
+    _add("language_distance", lambda s, d: Y.total_variation(balance(s, d, None)), f"{lang} select round(sum(abs(diff)) / 2.0::double, 4) as tv_pct from b")
     tok = "len(regexp_extract_all(text, '[^ \\t\\r\\n.,;:!?]+|[.,;:!?]'))::bigint"
     _add("length_histogram", lambda s, d: Y.length_histogram(docs(s, d), "text"), f"select (floor(least({tok} + 60, 2000) / 100) * 100)::bigint as tokens_from, count(*) as n from documents group by 1")
     _add("length_stats", lambda s, d: Y.length_stats(docs(s, d), "text"), "select count(*) as n, round(avg(t), 4) as mean, max(t) as max, quantile_cont(t, 0.5)::double as median, quantile_cont(t, 0.9)::double as p90 from (select ceil(length(text) / 4)::bigint as t from documents)")

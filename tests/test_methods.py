@@ -115,3 +115,14 @@ def test_archives_hold_every_page(spark, sf):
     i.write.text(lists)
     got = {r["id"]: bytes(r["bytes"]) for r in back.option("lists", lists).load().collect()}
     assert got == {r["page_id"]: (r["html"] or "").encode() for r in I.table(spark, sf, "pages").collect()}
+
+
+def test_language_distance_beyond_twenty(spark):
+    from geocensus.plans import workloads
+
+    folder = I.scratch(spark, "languages")
+    spark.range(4000).select(F.col("id").alias("doc_id"), F.concat(F.lit("l"), F.col("id") % 40).alias("lang"), F.lit("x").alias("text")).write.parquet(f"{folder}/documents.parquet")
+    d = workloads.docs(spark, folder)
+    all_langs = Y.language_balance(d, S.bernoulli_sample(d, 0.2, "lb", ["doc_id"]), top=1000)
+    assert all_langs.count() == 40
+    assert workloads.queries()["language_distance"](spark, folder).first()[0] == Y.total_variation(all_langs).first()[0]
