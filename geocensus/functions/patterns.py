@@ -11,15 +11,22 @@ _NUM = r"-?[0-9]{1,3}(?:\.[0-9]{1,15})?"
 _DMS = r"[0-9]{1,3}°[ ]?[0-9]{1,2}['′][ ]?[0-9]{1,2}(?:[.,][0-9]{1,6})?(?:''|\"|″)"
 _STREET = "Street|St|Avenue|Ave|Road|Rd|Lane|Ln|Drive|Dr|Boulevard|Blvd|Square|Court|Crescent|Terrace|Way"
 _POSTCODE = "[A-Z]{1,2}[0-9]{1,2}[A-Z]?[ ][0-9][A-Z]{2}"
+_LAT_KEY = rf"[Ll]at(?:itude)?[\"']?[ ]?[:=][ ]?[\"']?{_NUM}"
+_LON_KEY = rf"[Ll](?:on|ng)(?:gitude)?[\"']?[ ]?[:=][ ]?[\"']?{_NUM}"
+
+
+def _meta(name: str) -> str:
+    return rf"<meta[^>]{{1,80}}{name}[\"'][^>]{{0,40}}content=[\"']{_NUM}"
+
 
 #: Coordinate formats.  Bare pairs are range-checked by the pattern itself; keyed and labelled pairs are not.
 COORDS = {
-    "c1_bare_pair": rf"(?:^|[^0-9A-Za-z.,+-]){_LAT}[ ]?[,;][ ]?{_LON}(?:$|[^0-9A-Za-z.])",
+    "c1_bare_pair": rf"(?:^|[^0-9A-Za-z.,+-]){_LAT}(?:[ ]?[,;][ ]?|[ ]){_LON}(?:$|[^0-9A-Za-z.])",
     "c2_constructor": rf"(?:LatLng|latLng|LngLat|GeoPoint|Marker)\([ ]?\[?{_NUM}[ ]?,[ ]?{_NUM}",
     "c3_dms_after": rf"{_DMS}[ ]?[NS][^0-9]{{1,12}}{_DMS}[ ]?[EWO]",
     "c4_dms_before": rf"[NS][ ]?{_DMS}[^0-9]{{0,6}}[EWO][ ]?{_DMS}",
-    "c5_meta": rf"<meta[^>]{{1,80}}(?:geo\.position|ICBM)[^>]{{1,40}}content=[\"']{_NUM}[ ]?[;,][ ]?{_NUM}",
-    "c6_keys": rf"[Ll]at(?:itude)?[\"']?[ ]?[:=][ ]?[\"']?{_NUM}[\"']?[ \t\r\n,;&]{{1,8}}[\"']?[Ll](?:on|ng)(?:gitude)?[\"']?[ ]?[:=][ ]?[\"']?{_NUM}",
+    "c5_meta": rf"(?:<meta[^>]{{1,80}}(?:geo\.position|ICBM)[^>]{{1,40}}content=[\"']{_NUM}[ ]?[;,][ ]?{_NUM}|{_meta('latitude')}[\"'][^<]{{0,40}}{_meta('longitude')}|{_meta('longitude')}[\"'][^<]{{0,40}}{_meta('latitude')})",
+    "c6_keys": rf"(?:{_LAT_KEY}[\"']?[ \t\r\n,;&]{{1,8}}[\"']?{_LON_KEY}|{_LON_KEY}[\"']?[ \t\r\n,;&]{{1,8}}[\"']?{_LAT_KEY})",
     "c7_grid_id": r"27700[^0-9]{1,40}[\"']?x[\"']?[ ]?:[ ]?[0-9]{4,6}(?:\.[0-9]{1,15})?[ \t\r\n,]{1,8}[\"']?y[\"']?[ ]?:[ ]?[0-9]{4,7}",
     "c8_easting": r"[Ee]asting[ :=]{1,3}[0-9]{5,6}[^0-9]{1,20}[Nn]orthing[ :=]{1,3}[0-9]{5,7}",
     "c9_map_link": r"href=[\"'][^\"'<> ]{0,60}map[^\"'<> ]{0,80}(?:@|ll=|q=|!3d)-?[0-9]{1,2}\.[0-9]{3,12}(?:,|%2C|!4d)-?[0-9]{1,3}\.[0-9]{3,12}",
@@ -43,7 +50,7 @@ ADDRESSES = {
 }
 #: What must not count; each is masked by a blank before bare pairs are sought.
 DECOYS = {
-    "zero": r"-?0\.0{1,9}[ ]?[,;][ ]?-?0\.0{1,9}",
+    "zero": r"-?0\.0{1,9}(?:[ ]?[,;][ ]?|[ ])-?0\.0{1,9}",
     "celestial": r"(?:RA|Dec|right ascension|declination)[ :=]{1,3}-?\+?[0-9]{1,3}(?:[.h°][0-9 .hm's°]{1,20})?[ ,;]{0,3}(?:-?\+?[0-9]{1,3}\.[0-9]{1,9})?",
     "ipv4": r"[0-9]{1,3}\.[0-9]{1,3}\.[0-9]{1,3}\.[0-9]{1,3}",
     "phone": r"\+[0-9][0-9 ().-]{8,20}",

@@ -126,3 +126,10 @@ def test_language_distance_beyond_twenty(spark):
     all_langs = Y.language_balance(d, S.bernoulli_sample(d, 0.2, "lb", ["doc_id"]), top=1000)
     assert all_langs.count() == 40
     assert workloads.queries()["language_distance"](spark, folder).first()[0] == Y.total_variation(all_langs).first()[0]
+
+
+def test_reverse_spaced_and_separate(spark):
+    meta = '<meta property="place:location:latitude" content="41.90"> <meta property="place:location:longitude" content="12.49">'
+    swapped = '<meta property="og:longitude" content="12.49">\n<meta property="og:latitude" content="41.90">'
+    got = flags(spark, ['{"lng": 12.49637, "lat": 41.90278}', "at 51.50123 -0.14189 there", meta, swapped, "3.141 is pi", "rows 1.23 4.56", "0.0000 0.0000"])
+    assert [got[i][0] for i in range(7)] == [True] * 4 + [False] * 3
