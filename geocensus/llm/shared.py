@@ -3,13 +3,18 @@
 from __future__ import annotations
 
 import gc
+import os
+import tempfile
 import uuid
-from collections.abc import Callable, Iterator
+from collections.abc import Callable, Iterable, Iterator
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
+from pyspark.sql.pandas.types import to_arrow_schema
 
 #: The white space of every word and text rule here: blank, and U+0009 to U+000D.
 WHITE = " \t\n\x0b\x0c\r"
@@ -18,18 +23,37 @@ WORD = r"[^\x20\x09-\x0D]+"
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share: ``spark.checkpoint.dir``, or a local one where that is unset."""
-    return spark.conf.get("spark.checkpoint.dir", None) or "/tmp/checkpoints/geocensus"
+    """The folder that driver and executors share, ``spark.checkpoint.dir``; in local mode one of its own where that is unset."""
+    folder = spark.conf.get("spark.checkpoint.dir", None)
+    if not folder and not spark.sparkContext.master.startswith("local"):
+        raise ValueError("spark.checkpoint.dir names no folder that all executors share")
+    return folder or os.path.join(tempfile.gettempdir(), "geocensus-checkpoints")
 
 
 def materialise(df: DataFrame, label: str) -> DataFrame:
     """Write ``df`` as Parquet to the shared folder and read it again: cuts lineage, and survives a lost executor."""
     spark = df.sparkSession
     path = f"{shared_dir(spark).rstrip('/')}/{label}-{uuid.uuid4().hex}"
-    df.write.parquet(path)
-    gc.collect()  # plans that nothing uses now are collected, and Spark removes their shuffle files
+    _collect(spark)
+    df.write.option("compression", "zstd").parquet(path)
+    _collect(spark)
+    out = spark.read.schema(df.schema).parquet(path)
+    out.written_at = path
+    return out
+
+
+def _collect(spark: SparkSession) -> None:
+    """Collects plans that nothing uses any more, on both sides; Spark then removes their shuffle files."""
+    gc.collect()
     spark.sparkContext._jvm.System.gc()
-    return spark.read.schema(df.schema).parquet(path)
+
+
+def release(*frames: DataFrame) -> None:
+    """Removes the files of materialised tables; only for tables whose every dependant is itself written."""
+    for f in frames:
+        context = f.sparkSession.sparkContext
+        path = context._jvm.org.apache.hadoop.fs.Path(f.written_at)
+        path.getFileSystem(context._jsc.hadoopConfiguration()).delete(path, True)
 
 
 def text_or_empty(text: Column | str) -> Column:
@@ -80,16 +104,20 @@ class WordHasher:
         self.inverse = np.cumprod(np.concatenate([[np.uint64(1)], np.full(n, back, np.uint64)]), dtype=np.uint64)
 
     def words(self, text: str) -> np.ndarray:
-        b = np.frombuffer(text.encode("utf-8", "surrogatepass"), np.uint8)
+        return self.words_of(text.encode("utf-8", "surrogatepass"))[0]
+
+    def words_of(self, text: bytes) -> tuple[np.ndarray, np.ndarray]:
+        """The words' hashes and the bytes at which they start."""
+        b = np.frombuffer(text, np.uint8)
         if not len(b):
-            return np.zeros(0, np.uint64)
+            return np.zeros(0, np.uint64), np.zeros(0, np.int64)
         if len(b) >= len(self.power):
             self._grow(2 * len(b))
         inside = np.concatenate([[False], ~self.white[b], [False]])
         edge = np.flatnonzero(inside[1:] != inside[:-1])
         start, end = edge[::2], edge[1::2]
         total = np.concatenate([[np.uint64(0)], np.cumsum(self.table[b] * self.power[: len(b)], dtype=np.uint64)])
-        return mixed((total[end] - total[start]) * self.inverse[start] + (end - start).astype(np.uint64) * _ODD)
+        return mixed((total[end] - total[start]) * self.inverse[start] + (end - start).astype(np.uint64) * _ODD), start
 
 
 def gram_hashes(words: np.ndarray, n: int) -> np.ndarray:
@@ -187,12 +215,36 @@ def join_checked(left: DataFrame, right: DataFrame, on: str | list[str], how: st
     return left.join(F.broadcast(right) if small_enough(right, rows) else right, on, how)
 
 
-def map_batches(df: DataFrame, make: Callable[[], Callable[[pd.DataFrame], pd.DataFrame]], schema: str) -> DataFrame:
-    """``mapInPandas`` with a function that is made once per task."""
+def hot_join(left: DataFrame, right: DataFrame, on: str, count: str, spread: str, share: int = 1000, salts: int = 32) -> DataFrame:
+    """Inner join of ``left`` with ``right``, which has one row per ``on`` and, in ``count``, how many rows of ``left`` it meets.
+
+    Keys with more than 1/``share`` of the rows, of which there are fewer than ``share``, are dealt over ``salts`` by ``spread``.
+    """
+    total = right.agg(F.coalesce(F.sum(count), F.lit(0)).alias("n")).first()["n"]
+    if right.where(F.col(count) > total / share).isEmpty():
+        return left.join(right, on)
+    hot = F.broadcast(right.where(F.col(count) > total / share).select(on, F.lit(True).alias("__hot")))
+    left = left.join(hot, on, "left").withColumn("__salt", F.when(F.col("__hot"), F.pmod(F.xxhash64(spread), F.lit(salts))).otherwise(0).cast("int")).drop("__hot")
+    salt = F.explode(F.when(F.col(count) > total / share, F.sequence(F.lit(0), F.lit(salts - 1))).otherwise(F.array(F.lit(0))))
+    return left.join(right.drop("__salt").withColumn("__salt", salt), [on, "__salt"]).drop("__salt")
+
+
+def map_texts(docs: DataFrame, id_col: str, text_col: str, columns: str, make: Callable[[], Callable[[list[str]], Iterable]], step: int = 256) -> DataFrame:
+    """``doc_id`` and ``columns`` of every text, some texts at a time.
+
+    ``make`` is called once per task and gives a function from texts to one list per column.  Null texts count as empty.  Ids
+    stay in Arrow, so long ids beside null ones keep all their digits.
+    """
+    d = docs.select(F.col(id_col).alias("doc_id"), text_or_empty(text_col).alias("t"))
+    schema = T.StructType([T.StructField("doc_id", d.schema["doc_id"].dataType), *T.StructType.fromDDL(columns)])
+    arrow = to_arrow_schema(schema)
 
-    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         f = make()
-        for batch in batches:
-            yield f(batch)
+        for b in batches:
+            for lo in range(0, b.num_rows, step):
+                part = b.slice(lo, step)
+                made = f(part.column(1).to_pylist())
+                yield pa.RecordBatch.from_arrays([part.column(0), *[pa.array(c, k.type) for c, k in zip(made, list(arrow)[1:], strict=True)]], names=arrow.names)
 
-    return df.mapInPandas(run, schema)
+    return d.mapInArrow(run, schema)
