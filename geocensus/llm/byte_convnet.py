@@ -2,14 +2,13 @@
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Callable
 
 import numpy as np
-import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from geocensus.llm.shared import text_or_empty
+from geocensus.llm.shared import map_texts, text_or_empty
 
 WIDTH, STRIDE, FILTERS = 8, 4, 16
 #: Windows of a chunk and of its step: chunks of 1,024 bytes overlap by half and cover the whole text.
@@ -131,8 +130,11 @@ class ByteConvNet:
 
 
 def training_rows(docs: DataFrame, labels: DataFrame, label: str, rows: int = SAMPLE_ROWS, longest: int = SAMPLE_BYTES, id_col: str = "doc_id", text_col: str = "text") -> tuple[list[str], np.ndarray]:
-    """At most ``rows`` labelled texts of the training side (crc32 of the id, mod 5, is not 0), up to half of each class."""
-    known = labels.where(F.col(label).isin(0, 1)).select(F.col("doc_id").alias("__id"), F.col(label).cast("int").alias("y")).dropDuplicates(["__id"])
+    """At most ``rows`` labelled texts of the training side (crc32 of the id, mod 5, is not 0), up to half of each class.
+
+    Texts beyond ``longest`` bytes teach nothing.  An id that is labelled more than once has its largest label.
+    """
+    known = labels.where(F.col(label).isin(0, 1)).groupBy(F.col("doc_id").alias("__id")).agg(F.max(label).cast("int").alias("y"))
     known = known.where(~held_out(F.col("__id"))).withColumn("r", F.md5(F.concat(F.lit("train|"), F.col("__id").cast("string"))))
     ids = known.where("y = 1").orderBy("r").limit(2 * rows).unionByName(known.where("y = 0").orderBy("r").limit(2 * rows))  # a bound, documented
     d = docs.select(F.col(id_col).alias("__id"), text_or_empty(text_col).alias("t")).where(F.octet_length("t") <= longest)
@@ -146,23 +148,26 @@ def held_out(id_col: Column) -> Column:
     return F.crc32(id_col.cast("string").cast("binary")) % 5 == 0
 
 
-def score(docs: DataFrame, model: ByteConvNet, id_col: str = "doc_id", text_col: str = "text", cut: float = 0.3) -> DataFrame:
-    """``doc_id, score, predicted`` of every whole text; null counts as empty, which is scored as a window of zeros."""
+def score(docs: DataFrame, model: ByteConvNet | None, id_col: str = "doc_id", text_col: str = "text", cut: float = 0.3) -> DataFrame:
+    """``doc_id, score, predicted`` of every whole text; null counts as empty, which is scored as a window of zeros.  Without a
+    model each text scores 0.5.  Rows are independent, so repeated and null ids pass through; an empty table gives no rows."""
+
+    def make() -> Callable[[list[str]], tuple[np.ndarray, np.ndarray]]:
+        def run(texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
+            p = model.score(texts) if model else np.full(len(texts), 0.5)
+            return p, (p >= cut).astype(np.int32)
 
-    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        for b in batches:
-            p = model.score(b["t"].tolist())
-            yield pd.DataFrame({"doc_id": b["doc_id"], "score": p, "predicted": (p >= cut).astype("int32")})
+        return run
 
-    d = docs.select(F.col(id_col).alias("doc_id"), text_or_empty(text_col).alias("t"))
-    return d.mapInPandas(run, f"doc_id {d.schema['doc_id'].dataType.simpleString()}, score double, predicted int")
+    return map_texts(docs, id_col, text_col, "score double, predicted int", make)
 
 
 def quality(docs: DataFrame, labels: DataFrame) -> DataFrame:
-    """``doc_id, held_out, score, predicted``: a network fitted on the training side's sample, applied to every text."""
+    """``doc_id, held_out, score, predicted``: a network fitted on the training side's sample, applied to every text.
+
+    Without labelled rows of both classes there is nothing to learn, and each text scores 0.5.
+    """
     texts, y = training_rows(docs, labels, "quality")
-    model = ByteConvNet()
-    if len(set(y.tolist())) == 2:
-        model.fit(texts, y)
+    model = ByteConvNet().fit(texts, y) if len(set(y.tolist())) == 2 else None
     out = score(docs, model)
     return out.select("doc_id", F.coalesce(held_out(F.col("doc_id")), F.lit(False)).alias("held_out"), "score", "predicted")

@@ -4,21 +4,18 @@ from __future__ import annotations
 
 import hashlib
 import re
-from collections.abc import Iterator
+from collections.abc import Callable
 
 import numpy as np
-import pandas as pd
 import sentencepiece
 from pyspark.sql import DataFrame
-from pyspark.sql import functions as F
 
-from geocensus.llm.shared import text_or_empty
+from geocensus.llm.shared import map_texts
 
 _MARK = "▁"
 _CHUNK = re.compile(f"{_MARK}+[^{_MARK}]*")
 #: Distinct chunks that a Python worker keeps before it starts its table anew.
-TABLE_ROWS = 400_000
-_STEP = 256
+TABLE_ROWS = 150_000
 
 
 class PieceCodec:
@@ -83,22 +80,19 @@ _made: dict[str, PieceCodec] = {}
 def codec(model_path: str) -> PieceCodec:
     """The worker's codec, kept over tasks."""
     if model_path not in _made:
+        _made.clear()
         _made[model_path] = PieceCodec(model_path)
     return _made[model_path]
 
 
 def _map(docs: DataFrame, model_path: str, id_col: str, text_col: str, columns: str, row) -> DataFrame:  # noqa: ANN001
-    names = [c.split()[0] for c in columns.split(", ")]
+    n = columns.count(", ") + 1
 
-    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    def make() -> Callable[[list[str]], list]:
         c = codec(model_path)
-        for b in batches:
-            for lo in range(0, len(b), _STEP):
-                part = b.iloc[lo : lo + _STEP]
-                yield pd.DataFrame([(i, *row(g)) for i, g in zip(part["doc_id"], c.coded(part["t"].tolist()), strict=True)], columns=["doc_id", *names])
+        return lambda texts: list(zip(*[row(g) for g in c.coded(texts)], strict=True)) or [[]] * n
 
-    d = docs.select(F.col(id_col).alias("doc_id"), text_or_empty(text_col).alias("t"))
-    return d.mapInPandas(run, f"doc_id {d.schema['doc_id'].dataType.simpleString()}, {columns}")
+    return map_texts(docs, id_col, text_col, columns, make)
 
 
 def encode(docs: DataFrame, model_path: str, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:

@@ -5,32 +5,45 @@ from __future__ import annotations
 import math
 import re
 from collections import Counter
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
-import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from geocensus.llm.byte_convnet import held_out, training_rows
-from geocensus.llm.shared import text_or_empty
+from geocensus.llm.shared import map_texts
 
 #: Subsequences of SHORTEST to ORDER characters; each step inside one, matched or skipped, costs DECAY.
 #: Subsequences that reach over more than SPAN characters count as none.
 SHORTEST, ORDER, DECAY, SPAN = 3, 4, 0.6, 6
 #: The kernel is the Gaussian of the distance in subsequence space: exp((k - 1) / SPREAD).
 SPREAD = 0.16
-LANDMARKS = 64
+#: Landmarks: insults, up to three fifths, and clean words that come near them.  Words whose kernels are all below LIVE count as far from all.
+LANDMARKS, LIVE = 96, 0.03
+#: An insult's rate in clean texts is at most this share of its rate in toxic ones.
+RARE = 0.01
+#: Fits, each with the worst sentences of the last; weight of the loss; of that, weight of clean sentences against toxic ones.
+ROUNDS, COST, CAUTION = 5, 3000.0, 3.0
 #: Bounds of the training sample: labelled rows with the smallest seeded hash, and their longest text in bytes.
 SAMPLE_ROWS, SAMPLE_BYTES = 4000, 12_000
 #: Words longer than this are read in overlapping pieces.
 PIECE = 24
 #: Distinct words whose margin a Python worker keeps.
-TABLE_ROWS = 500_000
+TABLE_ROWS = 300_000
 _DROP = {ord(c): None for c in "!\"#$%&'()*+,-./:;<=>?@[\\]^_`{|}~­​‌‍⁠﻿"}
 _SPELT = re.compile(r"(?<!\S)\S(?:\s\S){2,}(?!\S)")
 
 
+_SENTENCE = re.compile(r"(?:(?<=[.!?])[\s]|\n)")
+
+
+def sentences(text: str) -> list[str]:
+    """Parts that end at a full stop, question or exclamation mark before white space, or at a line's end."""
+    return [x for x in _SENTENCE.split(text) if x]
+
+
 def words_in(text: str) -> set[str]:
     """The distinct words of a text, without case and punctuation; letters spelt one by one also as one word."""
     t = text.lower().translate(_DROP)
@@ -143,65 +156,70 @@ def _gauss(k: np.ndarray) -> np.ndarray:
 
 
 class InsultKernelSVM:
+    """A linear machine on Nystroem coordinates of sentences: a sentence is as near to a landmark as its nearest word."""
+
     def __init__(self, landmarks: list[str]):
         self.landmarks = landmarks
         self.base = Landmarks(landmarks)
-        k = self.base.kernel(landmarks)
-        values, vectors = np.linalg.eigh(k.astype(np.float64))
-        self.project = (vectors / np.sqrt(np.maximum(values, 1e-3))).astype(np.float32)
-        self.weights, self.bias, self.slope, self.shift = np.zeros(len(landmarks), np.float32), np.float32(-1), 1.0, 0.0
-        self.memo: dict[str, float] = {}
-
-    def embed(self, words: list[str]) -> np.ndarray:
-        """Nystroem coordinates: kernels with the landmarks, whitened."""
-        out = np.zeros((len(words), len(self.landmarks)), np.float32)
-        order = sorted(range(len(words)), key=lambda i: len(words[i]))
-        for lo in range(0, len(order), 1024):
-            at = order[lo : lo + 1024]
-            out[at] = self.base.kernel([words[i] for i in at])
-        return out @ self.project
-
-    def margins(self, words: set[str]) -> dict[str, float]:
-        """The memo, with a margin for each of ``words``: of a long word, its pieces' largest."""
-        new = [w for w in words if w not in self.memo]
-        if new:
-            parts = [p for w in new for p in _pieces(w)]
-            m = (self.embed(parts) @ self.weights + self.bias).tolist()
-            at = 0
-            for w in new:
-                n = len(_pieces(w))
-                self.memo[w] = max(m[at : at + n])
-                at += n
-        return self.memo
-
-    def fit(self, words: list[str], y: np.ndarray, rounds: int = 30, cost: float = 3000.0) -> None:
-        """Squared hinge loss, classes weighted alike, by Newton steps on the words inside the margin; y is +1 or -1."""
-        x = self.embed(words).astype(np.float64)
-        x = np.concatenate([x, np.ones((len(x), 1))], 1)
-        c = np.where(y > 0, 0.5 / max(1, (y > 0).sum()), 0.5 / max(1, (y < 0).sum())) * cost
+        values, vectors = np.linalg.eigh(self.base.kernel(landmarks).astype(np.float64))
+        self.project = vectors / np.sqrt(np.maximum(values, 1e-3))
+        self.direction, self.bias, self.slopes, self.shift = np.zeros(len(landmarks), np.float32), -1.0, np.array([1.0, 0.0]), 0.0
+        self.memo: dict[str, np.ndarray | None] = {}
+
+    def learn(self, words: set[str]) -> None:
+        """Puts the kernels of new words into the memo; none for words that are far from every landmark."""
+        new = sorted((w for w in words if w not in self.memo), key=len)
+        for lo in range(0, len(new), 1024):
+            own = new[lo : lo + 1024]
+            counts = [len(_pieces(w)) for w in own]
+            k = self.base.kernel([p for w in own for p in _pieces(w)])
+            k = np.maximum.reduceat(k, np.cumsum([0, *counts[:-1]]))
+            for w, row, near in zip(own, k, k.max(1) > LIVE, strict=True):
+                self.memo[w] = row.copy() if near else None
+
+    def pooled(self, words: set[str]) -> np.ndarray | None:
+        """A sentence's kernels with the landmarks, if any of its words is near one."""
+        rows = [k for w in words if (k := self.memo[w]) is not None]
+        return None if not rows else rows[0] if len(rows) == 1 else np.max(rows, 0)
+
+    def fit(self, x: np.ndarray, y: np.ndarray, weight: np.ndarray, rounds: int = 30) -> None:
+        """Squared hinge loss by Newton steps on the rows inside the margin; y is +1 or -1."""
+        x = np.concatenate([x @ self.project, np.ones((len(x), 1))], 1)
         keep = np.eye(x.shape[1])
         keep[-1, -1] = 1e-6
         w, near = np.zeros(x.shape[1]), np.ones(len(x), bool)
         for _ in range(rounds):
-            v, k = x[near], c[near]
+            v, k = x[near], weight[near]
             new = np.linalg.solve(keep + 2 * (v * k[:, None]).T @ v, 2 * v.T @ (k * y[near]))
             w = w + 0.8 * (new - w) if w.any() else new
             again = y * (x @ w) < 1
             if (again == near).all():
                 break
             near = again
-        self.weights, self.bias = w[:-1].astype(np.float32), np.float32(w[-1])
-        self.memo.clear()
+        self.direction, self.bias = (self.project @ w[:-1]).astype(np.float32), float(w[-1])
 
-    def largest(self, texts: list[str]) -> np.ndarray:
+    def margins(self, texts: list[str]) -> np.ndarray:
+        """Per text the margins of its two worst sentences."""
         sets = [words_in(t) for t in texts]
         if len(self.memo) > TABLE_ROWS:
             self.memo.clear()
-        m = self.margins(set().union(*sets))
-        return np.array([max((m[w] for w in s), default=-3.0) for s in sets])
+        self.learn(set().union(*sets))
+        out = np.full((len(texts), 2), self.bias)
+        for i, (t, words) in enumerate(zip(texts, sets, strict=True)):
+            if any(self.memo[w] is not None for w in words):
+                parts = [words_in(x) for x in sentences(t)]
+                self.learn(set().union(*parts) - words)
+                rows = [k for p in parts if (k := self.pooled(p)) is not None]
+                if rows:
+                    out[i] = two_largest(np.array(rows) @ self.direction + self.bias, self.bias)
+        return out
 
     def score(self, texts: list[str]) -> np.ndarray:
-        return 1 / (1 + np.exp(-(self.slope * self.largest(texts) + self.shift).clip(-30, 30)))
+        return 1 / (1 + np.exp(-(self.margins(texts) @ self.slopes + self.shift).clip(-30, 30)))
+
+
+def two_largest(margins: np.ndarray, least: float) -> np.ndarray:
+    return np.sort(np.append(margins, [least, least]))[:-3:-1]
 
 
 def _bent(word: str, r: np.random.Generator) -> list[str]:
@@ -210,88 +228,118 @@ def _bent(word: str, r: np.random.Generator) -> list[str]:
     return [word[:i] + word[i - 1] + word[i:], word[:j] + "x1y0z3q"[r.integers(7)] + word[j:], word[:k] + word[k + 1 :]] if len(word) > 4 else []
 
 
-def train(texts: list[str], y: np.ndarray, seed: int = 5) -> InsultKernelSVM | None:
-    """Landmarks, machine and calibration from labelled texts.
-
-    A toxic text has a toxic word somewhere.  Words that toxic texts have far more often than clean ones teach the positive
-    class, words of clean texts the negative one.  A text's margin is its words' largest; a logistic curve turns it into a
-    probability.
-    """
-    if len(set(y.tolist())) < 2:
-        return None
-    sets = [words_in(t) for t in texts]
+def _landmarks(sets: list[set[str]], y: np.ndarray) -> tuple[list[str], list[str]]:
+    """Words of toxic texts and the words of clean texts that come near them."""
     pos, neg = Counter(), Counter()
     for s, v in zip(sets, y, strict=True):
         (pos if v else neg).update(s)
     n1, n0 = max(1, int(y.sum())), max(1, int((1 - y).sum()))
-    # So frequent in toxic texts, and all but absent elsewhere, that chance explains no word of the sample.
-    enough = max(3.0, math.log2(len(pos) + 1)) * n1 / max(n1, n0)
-    lead = sorted((w for w, c in pos.items() if 3 <= len(w) <= PIECE and c >= enough and neg[w] <= 0.01 * c), key=lambda w: (-pos[w], w))
+    # So frequent in toxic texts, and so rare elsewhere, that chance explains no word of the sample.
+    enough = max(3.0, math.log(2 * len(pos) + 2) / -math.log(n1 / (n1 + n0)))
+    lead = sorted((w for w, c in pos.items() if 3 <= len(w) <= PIECE and c >= enough and neg[w] / n0 <= RARE * c / n1), key=lambda w: (-pos[w], w))
     if not lead:
         lead = sorted((w for w in pos if 3 <= len(w) <= PIECE), key=lambda w: (-pos[w] / (neg[w] + 0.5), w))[:20]
-    r = np.random.default_rng(seed)
-    clean = sorted(w for w in neg if len(w) <= PIECE)
+    if not lead:
+        return [], []
     pick, near = lead[:1], Landmarks(lead[:1])
     for w in lead[1:]:  # unlike each other
-        if len(pick) < LANDMARKS * 2 // 3 and near.kernel([w]).max() < math.exp(-0.3 / SPREAD):
+        if len(pick) < LANDMARKS * 3 // 5 and near.kernel([w]).max() < 0.4:
             pick.append(w)
             near = Landmarks(pick)
-    landmarks = pick + [clean[i] for i in r.permutation(len(clean))[: LANDMARKS // 4] if len(clean[i]) > 2]
-    svm = InsultKernelSVM(sorted(set(landmarks)))
-    negatives = [clean[i] for i in r.permutation(len(clean))[:12_000]]
-    negatives += 20 * sorted(w for w in clean if neg[w] > 0.01 * n0)  # a common word's error would touch many texts
-    bent = [w for v in lead if pos[v] > 0.1 * n1 for w in _bent(v, r) if not neg[w]]
-    lead += bent
-    svm.fit(lead + negatives, np.array([1.0] * len(lead) + [-1.0] * len(negatives)))
-    # Thrice more, with the hardest clean words, and at last with repeated words of toxic texts that come near.
-    taught: set[str] = set()
-    for turn in range(3):
-        m = svm.margins(set(clean))
-        hard = sorted(clean, key=lambda w: (-m[w], w))[:4000]
-        hard += 9 * hard[:300]
-        for words, v in zip(sets, y, strict=True):
-            own = [w for w in words if len(w) <= PIECE and not neg[w]]
-            m = svm.margins(set(own))
-            best = max(own, key=lambda w: (m[w], w), default=None)
-            if turn and v and best and 0.4 < m[best] < 1 and pos[best] > 1:
-                taught.add(best)
-        more = sorted(taught)
-        svm.fit(lead + more + negatives + hard, np.array([1.0] * (len(lead) + len(more)) + [-1.0] * (len(negatives) + len(hard))))
-    m = svm.margins(set(bent))
-    z = np.concatenate([svm.largest(texts), [m[w] for w in bent]])
-    y = np.concatenate([y, np.ones(len(bent))])
-    n1 += len(bent)
-    a, b = 4.0, 0.0
-    for _ in range(2000):  # Platt's curve, smoothed targets
-        p = 1 / (1 + np.exp(-(a * z + b)))
-        t = np.where(y == 1, (n1 + 1) / (n1 + 2), 1 / (n0 + 2))
-        w = np.where(y == 1, 0.5 / n1, 0.5 / n0) * np.where(np.arange(len(z)) < len(texts), 1.0, 0.2)
-        a, b = a - 2 * (w * (p - t) * z).sum(), b - 2 * (w * (p - t)).sum()
-    svm.slope, svm.shift = a, b
+    common = sorted((w for w, c in neg.items() if c > 1 and 3 <= len(w) <= PIECE and w not in pick), key=lambda w: (-neg[w], w))
+    close = [w for lo in range(0, len(common), 1024) for w, k in zip(common[lo : lo + 1024], near.kernel(common[lo : lo + 1024]).max(1), strict=True) if k > 0.1 and neg[w] / n0 > RARE * pos[w] / n1]
+    return pick, close[: LANDMARKS - len(pick)]
+
+
+def _machine(sets: list[set[str]], parts: list[list[set[str]]], y: np.ndarray, seed: int) -> InsultKernelSVM | None:
+    """The machine of labelled texts, given as their words and as their sentences' words; none if toxic texts have no words."""
+    insults, confusers = _landmarks(sets, y)
+    if not insults:
+        return None
+    svm = InsultKernelSVM(insults + confusers)
+    svm.learn(set().union(*sets, *[p for ps in parts for p in ps]))
+    rows, owner = [np.zeros(len(svm.landmarks), np.float32)], [-1]
+    for i, ps in enumerate(parts):
+        own = {k.tobytes(): k for p in ps if (k := svm.pooled(p)) is not None}
+        rows += own.values()
+        owner += [i] * len(own)
+    x, owner = np.array(rows), np.array(owner)
+    clean = np.flatnonzero(np.append(y, 0)[owner] != 1)
+    known = set().union(*[s for s, v in zip(sets, y, strict=True) if not v])
+    r = np.random.default_rng(seed)
+    bent = sorted({v for w in insults for v in _bent(w, r)} - known)
+    svm.learn(set(bent))
+    variants = [svm.memo[w] for w in bent if svm.memo[w] is not None]
+    seen = x[:, : len(insults)].max(1)  # at first, the nearest to any insult
+    for turn in range(ROUNDS):
+        worst = [(at := np.flatnonzero(owner == i))[seen[at].argmax()] for i in np.flatnonzero(y == 1) if (owner == i).any()]
+        worst = [k for k in worst if seen[k] > (0.5 if not turn else -0.5)]
+        data = np.concatenate([x[worst], np.array(variants).reshape(-1, x.shape[1]), x[clean]])
+        side = np.concatenate([np.ones(len(worst) + len(variants)), -np.ones(len(clean))])
+        weight = np.concatenate([np.full(len(worst), 1 / max(1, len(worst))), np.full(len(variants), 0.3 / max(1, len(variants))), np.full(len(clean), CAUTION / (1 - y).sum())])
+        svm.fit(data, side, COST * weight)
+        seen = x @ svm.direction + svm.bias
+    svm.memo.clear()
+    return svm
+
+
+def train(texts: list[str], y: np.ndarray, seed: int = 5) -> InsultKernelSVM | None:
+    """Landmarks, machine and calibration from the sentences of labelled texts.
+
+    Without a word in the toxic texts, or labels of both classes, there is no machine.  Every sentence of a clean text is a clean one, and a toxic text has a toxic sentence somewhere: the one that the machine so far finds
+    worst teaches the positive class, unless none looks toxic, when the text teaches nothing.  The insults among the landmarks
+    teach it too with a character doubled, inserted or left out.  A logistic curve turns the margins of a text's two worst sentences
+    into a probability, at the classes' own rates; it is fitted on margins that a machine of either half of the texts gives the others.
+    """
+    if len(set(y.tolist())) < 2:
+        return None
+    sets, parts = [words_in(t) for t in texts], [[words_in(x) for x in sentences(t)] for t in texts]
+    svm = _machine(sets, parts, y, seed)
+    if svm is None:
+        return None
+    half, z, t = np.zeros(len(texts), int), np.zeros((len(texts), 2)), y
+    for v in (0, 1):
+        half[y == v] = np.arange((y == v).sum()) % 2
+    for side in (0, 1):
+        own, other = np.flatnonzero(half == side), np.flatnonzero(half != side)
+        judge = _machine([sets[i] for i in own], [parts[i] for i in own], y[own], seed) if len(set(y[own].tolist())) == 2 else None
+        z[other] = (judge or svm).margins([texts[i] for i in other])
+    n1, n0 = int(t.sum()), int((1 - t).sum())
+    t = np.where(t == 1, (n1 + 1) / (n1 + 2), 1 / (n0 + 2))  # smoothed targets
+    a, b = np.array([2.0, 0.5]), 0.0
+    for _ in range(3000):
+        g = 1 / (1 + np.exp(-(z @ a + b))) - t
+        a, b = a - 2 * (g[:, None] * z).mean(0), b - 2 * g.mean()
+    svm.slopes, svm.shift = np.maximum(a, 0.0), float(b)
     return svm
 
 
 _loaded: dict[int, InsultKernelSVM] = {}
 
 
-def score(docs: DataFrame, svm: InsultKernelSVM | None, id_col: str = "doc_id", text_col: str = "text", cut: float = 0.5, keep: tuple[str, ...] = ()) -> DataFrame:
+def _kept_model(svm: InsultKernelSVM) -> InsultKernelSVM:
+    """The worker's model, kept over tasks with its table of words; another model takes its place."""
+    mark = hash((svm.shift, svm.bias, svm.direction.tobytes(), tuple(svm.landmarks)))
+    if mark not in _loaded:
+        _loaded.clear()
+        _loaded[mark] = svm
+    return _loaded[mark]
+
+
+def score(docs: DataFrame, svm: InsultKernelSVM | None, id_col: str = "doc_id", text_col: str = "text", cut: float = 0.5) -> DataFrame:
     """``doc_id, score, predicted`` of every whole text.  Null and empty texts have no words and score lowest; without labels
-    of both classes nothing is rejected; rows are independent, so repeated and null ids pass through."""
-    mark = hash((svm.slope, svm.shift, tuple(svm.landmarks))) if svm else 0
-    if svm:
-        svm.memo = {}
+    of both classes all score 0; rows are independent, so repeated and null ids pass through; an empty table gives no rows."""
 
-    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        model = _loaded.setdefault(mark, svm)  # a worker keeps its table of words over tasks
-        for b in batches:
-            for lo in range(0, len(b), 512):
-                part = b.iloc[lo : lo + 512]
-                p = model.score(part["t"].tolist()) if model else np.zeros(len(part))
-                yield pd.DataFrame({"doc_id": part["doc_id"], "score": p, "predicted": (p >= cut).astype("int32"), **{c: part[c] for c in keep}})
+    def make() -> Callable[[list[str]], tuple[np.ndarray, np.ndarray]]:
+        model = _kept_model(svm) if svm else None
+
+        def run(texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
+            p = model.score(texts) if model else np.zeros(len(texts))
+            return p, (p >= cut).astype(np.int32)
+
+        return run
 
-    d = docs.select(F.col(id_col).alias("doc_id"), text_or_empty(text_col).alias("t"), *[F.col(c) for c in keep])
-    extra = "".join(f", `{c}` {docs.schema[c].dataType.simpleString()}" for c in keep)
-    return d.mapInPandas(run, f"doc_id {d.schema['doc_id'].dataType.simpleString()}, score double, predicted int{extra}")
+    return map_texts(docs, id_col, text_col, "score double, predicted int", make)
 
 
 def fitted(docs: DataFrame, labels: DataFrame) -> InsultKernelSVM | None:
@@ -304,7 +352,22 @@ def toxicity(docs: DataFrame, labels: DataFrame) -> DataFrame:
     return out.select("doc_id", F.coalesce(held_out(F.col("doc_id")), F.lit(False)).alias("held_out"), "score", "predicted")
 
 
-def drop_toxic(docs: DataFrame, labels: DataFrame) -> DataFrame:
-    """``docs`` without the rows that the machine rejects; one pass, no join."""
-    extra = tuple(c for c in docs.columns if c != "doc_id")
-    return score(docs, fitted(docs, labels), keep=extra).where("predicted = 0").select(*docs.columns)
+def drop_toxic(docs: DataFrame, labels: DataFrame, text_col: str = "text", cut: float = 0.5) -> DataFrame:
+    """``docs`` without the rows that the machine rejects, all columns kept whatever their names and types; one pass, no join.
+
+    Null and empty texts stay, and without labels of both classes every row does.
+    """
+    svm = fitted(docs, labels)
+    if svm is None:
+        return docs
+    at = docs.columns.index(text_col)
+    d = docs.toDF(*[f"c{i}" for i in range(len(docs.columns))])
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        model = _kept_model(svm)
+        for b in batches:
+            for lo in range(0, b.num_rows, 256):
+                part = b.slice(lo, 256)
+                yield part.filter(pa.array(model.score([t or "" for t in part.column(at).to_pylist()]) < cut))
+
+    return d.mapInArrow(run, d.schema).toDF(*docs.columns)
