@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from geocensus.llm.shared import materialise, strip_white, text_or_empty
@@ -42,16 +42,29 @@ def exact_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "t
     groups = salted.where("salt < 0").drop("salt", "norm").unionByName(warm.drop("norm"))
     keep = F.expr(f"cast({_TOP} - rank % {_SPAN} as decimal(19,0))").cast("long")
     groups = groups.select("digest", "tag", F.nullif(keep, F.lit(_NO_ID)).alias("keep_id"), "group_size")
-    out = keys.join(groups, ["digest", "tag"])
+    # The way back: a hot digest's rows are dealt over the salts again, and meet a copy of its group at each.
+    dealt = F.explode(F.when(F.col("hot"), F.sequence(F.lit(0), F.lit(salts - 1))).otherwise(F.array(F.lit(-1))))
+    groups = groups.join(hot, "digest", "left").withColumn("salt", dealt).drop("hot")
+    out = keys.join(hot, "digest", "left").withColumn("salt", salt.cast("int")).drop("hot").join(groups, ["digest", "tag", "salt"])
     return out.select("doc_id", "keep_id", "group_size", F.col("doc_id").eqNullSafe(F.col("keep_id")).alias("kept"), F.lower(F.hex("digest")).alias("text_sha256"))
 
 
 def drop_exact_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """``docs`` with one row of each group of equal texts, all its columns kept (of rows that repeat an id, one)."""
-    kept = materialise(exact_duplicates(docs, id_col, text_col).where("kept").select(F.col("doc_id").alias("__keep")), "exact-kept")
-    ids = kept.distinct()
-    out = docs.join(ids, docs[id_col].cast("long").eqNullSafe(F.col("__keep")), "left_semi")
-    return out if kept.count() == ids.count() else out.dropDuplicates([id_col])
+    """``docs`` with one row of each group of equal texts, all its columns kept.
+
+    Rows are told apart by id alone where ids are unique.  Else, null ids included, a row stays for its id and its text, so
+    different texts under one id all stay, and rows that repeat both leave one.
+    """
+    found = materialise(exact_duplicates(docs, id_col, text_col), "exact-found")
+    kept = found.where("kept").select(F.col("doc_id").alias("__keep"), F.unhex("text_sha256").alias("__digest")).distinct()
+    same = F.col("__id").eqNullSafe(F.col("__keep"))
+    own = docs.withColumn("__id", F.col(id_col).cast("long"))
+    if found.count() == found.select("doc_id").distinct().count():
+        return own.join(kept, same, "left_semi").drop("__id")
+    norm = strip_white(text_or_empty(text_col))
+    own = own.withColumn("__own", F.unhex(F.sha2(norm, 256))).join(kept, same & (F.col("__own") == F.col("__digest")), "left_semi")
+    longest = Window.partitionBy("__id", "__own").orderBy(F.desc(F.char_length(text_or_empty(text_col))))
+    return own.withColumn("__nth", F.row_number().over(longest)).where("__nth = 1").drop("__id", "__own", "__nth")
 
 
 SQL = r"""

@@ -199,14 +199,16 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     Shingles are five words (all of them in a shorter text); two documents are linked at a Jaccard similarity of 0.8 or more.
     Documents with equal words share ``rep_id``, the smallest id of them; ``class_id`` is the smallest id that links reach;
     ``n_links`` counts all other documents at 0.8 or more, copies included.  Texts without a word, null ones too, have no links and
-    are classes of their own; an empty table gives no rows; rows that repeat an id count as copies; a null id is left out.
+    are classes of their own; so are rows without an id, which link to none; an empty table gives no rows; rows that repeat an id
+    count as copies.
 
     One pass signs every text.  Equal words collapse first.  Signatures meet in 25 bands of four hashes (a pair at 0.8 is missed with
     probability 2e-6); in each bucket pruning keeps likely pairs, of which only a spanning forest is kept; its components are the units
     in which texts are compared exactly.  Buckets and units beyond a block are split, and only counts and forests leave a
     task, so no stage emits the pairs of a group.
     """
-    d = docs.select(F.col(id_col).cast("long").alias("doc_id"), text_or_empty(text_col).alias("t")).where("doc_id is not null")
+    d = docs.select(F.col(id_col).cast("long").alias("doc_id"), text_or_empty(text_col).alias("t"))
+    nameless, d = d.where("doc_id is null"), d.where("doc_id is not null")
     signed = materialise(d.mapInPandas(_sign, "doc_id long, digest binary, n long, bands array<long>"), "near-signed")
     some = signed.where("bands is not null")
     groups = materialise(some.groupBy("digest").agg(F.min("doc_id").alias("rep"), F.count("*").alias("copies")), "near-groups")
@@ -233,15 +235,22 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     reps = groups.select("digest", "rep", "copies").join(degree, "rep", "left").join(classes.withColumnRenamed("id", "rep"), "rep", "left")
     reps = reps.select("digest", "rep", "copies", F.coalesce("links", F.lit(0)).alias("links"), F.coalesce("root", "rep").alias("root"))
     out = signed.select("doc_id", "digest", F.col("bands").isNotNull().alias("words")).join(reps, "digest", "left")
-    one = F.lit(1).cast("long")
-    return out.select(
+    one, none = F.lit(1).cast("long"), F.lit(0).cast("long")
+    out = out.select(
         "doc_id", F.when(F.col("words"), F.col("rep")).otherwise(F.col("doc_id")).alias("rep_id"), F.when(F.col("words"), F.col("root")).otherwise(F.col("doc_id")).alias("class_id"),
         F.when(F.col("words"), F.col("links") + F.col("copies") - 1).otherwise(F.lit(0)).cast("long").alias("n_links"), F.when(F.col("words"), F.col("copies")).otherwise(one).alias("n_copies"),
     )
+    return out.unionByName(nameless.select("doc_id", F.col("doc_id").alias("rep_id"), F.col("doc_id").alias("class_id"), none.alias("n_links"), one.alias("n_copies")))
 
 
 def drop_near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """``docs`` with one document of each class, that with the smallest id, all its columns kept."""
+    """``docs`` with one document of each class, that with the smallest id, all its columns kept.
+
+    Where an id repeats or is null, rows are numbered first and stay or go by number, so that each is a document of its own.
+    """
+    ids = docs.select(F.count("*").alias("n"), F.count_distinct(id_col).alias("ids")).first()
+    if ids["n"] != ids["ids"]:
+        docs, id_col = materialise(docs.withColumn("__row", F.monotonically_increasing_id()), "near-rows"), "__row"
     found = near_duplicates(docs, id_col, text_col)
-    gone = materialise(found.where("doc_id <> class_id").select(F.col("doc_id").alias(id_col)).distinct(), "near-gone")
-    return docs.join(gone, id_col, "left_anti")
+    gone = materialise(found.where("doc_id <> class_id").select(F.col("doc_id").alias("__gone")).distinct(), "near-gone")
+    return docs.join(gone, docs[id_col].cast("long") == gone["__gone"], "left_anti").drop("__row")
