@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from geocensus.llm.shared import materialise, text_or_empty
@@ -17,8 +17,15 @@ PATTERNS = {
     "phone": r"\+[0-9][\x20().0-9-]+[0-9]",
 }
 _PART = "0*(?:25[0-5]|2[0-4][0-9]|1?[0-9]?[0-9])"
-# A word with a digit in it, by one attempt per word.
-_MENTION = r"(?<![^\x20\x09-\x0D])[^\x20\x09-\x0D0-9]*+[0-9][^\x20\x09-\x0D]*+"
+# What may be an identifier, by one attempt per word: a word with a digit, and the words of digits and their marks that
+# follow it by single blanks; or a word with one of these marks between its letters.
+_MENTION = (
+    r"(?<![^\x20\x09-\x0D])(?:[^\x20\x09-\x0D0-9]*+[0-9][^\x20\x09-\x0D]*+(?:\x20[0-9().+/-]*+[0-9][0-9().+/-]*+(?![^\x20\x09-\x0D]))*+"
+    r"|[^\x20\x09-\x0D0-9@_()\[\]{}=:\\]++[@_()\[\]{}=:\\]+[^\x20\x09-\x0D0-9@_()\[\]{}=:\\][^\x20\x09-\x0D]*+)"
+)
+_QUAD = r"^[0-9]+(?:\.[0-9]+){3}$"
+#: Characters that a spelling needs to say anything about an identifier.
+FORM = 9
 _EDGE = r"[\]\[.,;:!?(){}<>\"'|*#$%&-]"
 _BLOCK = 128
 
@@ -57,13 +64,24 @@ def _located(d: DataFrame, name: str, pattern: str, gate: Column, text: str = "t
 
 
 def _context(name: str, i: Column) -> tuple[Column, Column]:
-    """The words before and after match ``i``, in lower case; empty at an end of the text or next to another match."""
+    """Up to two words before and after match ``i``, in lower case; fewer at an end of the text or next to another match."""
     s = F.col(f"{name}_s")
-    left = F.lower(F.regexp_extract(F.element_at(s, i + 1), r"([^\x20\x09-\x0D]+)[\x20\x09-\x0D]*+$", 1))
-    right = F.lower(F.regexp_extract(F.element_at(s, i + 2), r"^[^\x20\x09-\x0D]*[\x20\x09-\x0D]+([^\x20\x09-\x0D]+)", 1))
+    left = F.lower(F.regexp_extract(F.element_at(s, i + 1), r"((?:[^\x20\x09-\x0D]+[\x20\x09-\x0D]+)?[^\x20\x09-\x0D]+)[\x20\x09-\x0D]*+$", 1))
+    right = F.lower(F.regexp_extract(F.element_at(s, i + 2), r"^[^\x20\x09-\x0D]*[\x20\x09-\x0D]+([^\x20\x09-\x0D]+(?:[\x20\x09-\x0D]+[^\x20\x09-\x0D]+)?)", 1))
     return left, right
 
 
+def _patterns(inst: Column, left: Column, right: Column) -> Column:
+    """The patterns that an instance occurs in: side and wording.  One word or two before it, after it, one on both sides, and its own
+    spelling with digits as 9 and letters as a."""
+    form = F.regexp_replace(F.regexp_replace(inst, r"\p{L}+", "a"), "[0-9]", "9")
+    before, after = F.regexp_extract(left, r"[^\x20\x09-\x0D]+$", 0), F.regexp_extract(right, r"^[^\x20\x09-\x0D]+", 0)
+    two = lambda c: F.when(c.rlike(r"[\x20\x09-\x0D]"), F.regexp_replace(c, r"[\x20\x09-\x0D]+", " ")).otherwise("")
+    both = F.when((before != "") & (after != ""), F.concat_ws(" ", before, after)).otherwise("")
+    sides = {"L": before, "R": after, "B": both, "LL": two(left), "RR": two(right), "F": F.when(F.length(form) >= FORM, form).otherwise("")}
+    return F.filter(F.array(*[F.struct(F.lit(k).alias("side"), v.alias("word")) for k, v in sides.items()]), lambda p: p["word"] != "")
+
+
 def _seed(kind: str, n: int):
     def of(x: Column, i: Column) -> Column:
         start = F.element_at(f"{kind}_p", i + 1)
@@ -74,7 +92,7 @@ def _seed(kind: str, n: int):
 
 
 def scan(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """One row per document: base ``spans``, their contexts ``seeds``, and the identifier-like words outside them, ``mentions``."""
+    """One row per document: base ``spans``, their contexts ``seeds``, and what looks like an identifier outside them, ``mentions``."""
     d = docs.select(F.col(id_col).alias("doc_id"), text_or_empty(text_col).alias("t")).withColumn("key", F.xxhash64("t"))
     digit = F.col("t").rlike("[0-9]")
     gates = {"email": F.col("t").contains("@"), "ip": digit, "card": digit, "phone": F.col("t").contains("+")}
@@ -95,33 +113,35 @@ def scan(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> Dat
         left, right = _context("mention", i)
         return F.struct(start.alias("start"), (start + F.length(word)).alias("end"), word.alias("inst"), left.alias("left"), right.alias("right"))
 
-    like = lambda x: F.length(x["inst"]).between(6, 64) & (F.length(F.regexp_replace(x["inst"], "[^0-9]", "")) >= 3)
+    # A dotted quad that the base refused, for a part above 255, is no address.
+    like = lambda x: (F.length(x["inst"]) >= 6) & ~x["inst"].rlike(_QUAD)
     d = d.withColumn("mentions", F.filter(F.transform("mention_m", core), like))
     apart = lambda x: ~F.exists("found", lambda b: (b["start"] < x["end"]) & (x["start"] < b["end"]))
     return d.select("doc_id", "key", F.transform("found", lambda x: F.struct(x["start"], x["n"], x["end"])).alias("spans"), F.transform("found", lambda x: F.struct(x["n"], x["inst"], x["left"], x["right"])).alias("seeds"), F.filter("mentions", apart).alias("mentions"))
 
 
 def bootstrap(scanned: DataFrame, rounds: int = 3, support: int = 5, least: float = 0.8) -> DataFrame:
-    """``inst, n, conf``: identifiers that the contexts of seeds vouch for, with their kind's number.
+    """``inst, n, conf``: identifiers that the patterns of seeds vouch for, with their kind's number.
 
-    A pattern is the word before, the word after, or both.  Its score for a kind is the confidence of its instances of that
-    kind over all its distinct instances; patterns with ``support`` instances, discovered ones counted by their confidence, and a score of
-    ``least`` stay, and an instance's confidence is one less the product of its patterns' doubts.  Each round is two aggregates over narrow rows.
+    A context's score for a kind is the confidence of its instances of that kind over all its distinct instances: one not known
+    speaks against it.  A spelling is strict in itself, so only instances known for another kind speak against it, and contexts and
+    spellings vouch for each other's instances: a number that a checksum refused counts as a card if enough checked
+    cards are spelt like it.  Patterns with ``support`` instances, discovered ones counted by their confidence, and a score of ``least``
+    stay, and an instance's confidence is one less the product of its patterns' doubts.  Each round is two aggregates over narrow rows.
     """
-    sides = F.array(
-        F.struct(F.lit("L").alias("side"), F.col("x.left").alias("word")), F.struct(F.lit("R").alias("side"), F.col("x.right").alias("word")),
-        F.struct(F.lit("B").alias("side"), F.when((F.col("x.left") != "") & (F.col("x.right") != ""), F.concat_ws(" ", "x.left", "x.right")).otherwise("").alias("word")),
-    )
+    sides = _patterns(F.col("x.inst"), F.col("x.left"), F.col("x.right"))
     seeds = scanned.select(F.explode("seeds").alias("x")).select(F.col("x.inst").alias("inst"), F.col("x.n").alias("n"), F.explode(sides).alias("p"))
     others = scanned.select(F.explode("mentions").alias("x")).select(F.col("x.inst").alias("inst"), F.lit(None).cast("int").alias("n"), F.explode(sides).alias("p"))
-    edges = materialise(seeds.unionByName(others).where("p.word <> ''").select("inst", "n", "p.side", "p.word").distinct(), "pii-edges")
+    edges = materialise(seeds.unionByName(others).select("inst", "n", "p.side", "p.word").distinct(), "pii-edges")
     pairs = edges.select("inst", "side", "word").distinct()
     known = edges.where("n is not null").select("inst", "n").distinct().withColumn("conf", F.lit(1.0))
     totals = pairs.groupBy("side", "word").agg(F.count("*").alias("total"))
     conf = known
     for _ in range(rounds):
         score = pairs.join(conf, "inst").groupBy("side", "word", "n").agg(F.sum("conf").alias("mass"))
-        score = score.where(F.col("mass") >= support).join(totals, ["side", "word"]).withColumn("score", F.col("mass") / F.col("total")).where(F.col("score") >= least)
+        known_mass = F.sum("mass").over(Window.partitionBy("side", "word"))  # of four kinds at most
+        score = score.withColumn("known", known_mass).where(F.col("mass") >= support).join(totals, ["side", "word"])
+        score = score.withColumn("score", F.col("mass") / F.when(F.col("side") == "F", F.col("known")).otherwise(F.col("total"))).where(F.col("score") >= least)
         doubt = F.sum(F.log(1.0 - 0.999 * F.col("score")))
         found = pairs.join(score.select("side", "word", "n", "score"), ["side", "word"]).groupBy("inst", "n").agg((1.0 - F.exp(doubt)).alias("conf"))
         conf = materialise(known.unionByName(found.join(known, ["inst"], "left_anti")), "pii-conf")
@@ -155,4 +175,4 @@ def digest(docs: DataFrame) -> DataFrame:
     d = personal_data(docs)
     kinds = F.transform("base", lambda x: x["n"])
     counts = [(F.size("base") - F.size(F.array_remove(kinds, n))).cast("long").alias(f"n_{k}") for n, k in enumerate(KINDS)]
-    return d.select("doc_id", *counts, F.sha2(spell(F.col("base")), 256).alias("base_sha256"), spell(F.col("spans")).alias("spans"))
+    return d.select("doc_id", *counts, F.sha2(spell(F.col("base")), 256).alias("base_sha256"), spell(F.col("spans")).alias("spans"), F.size("spans").cast("long").alias("n_spans"))
