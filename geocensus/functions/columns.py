@@ -8,7 +8,7 @@ import operator
 from pyspark.sql import Column
 from pyspark.sql import functions as F
 
-from geocensus.functions.patterns import ADDRESSES, COORDS, DECOYS
+from geocensus.functions.patterns import ADDRESSES, BARE_MASKS, COORDS, DECOYS, GATES, KEYED_MASKS, READ_AS_SHOWN
 
 # The MIME types that are exclusively geospatial.
 GEO_MIMES = (
@@ -57,8 +57,11 @@ def soften_tags(html: Column) -> Column:
     return F.regexp_replace(html, "<[^>]{0,1000}>", " ")
 
 
+ENTITIES = (("&deg;", "°"), ("&#176;", "°"), ("&prime;", "′"), ("&Prime;", "″"), ("&nbsp;", " "), ("&#160;", " "), ("&quot;", '"'), ("&#39;", "'"), ("&apos;", "'"), ("&lt;", "<"), ("&gt;", ">"), ("&amp;", "&"))
+
+
 def decode_entities(c: Column) -> Column:
-    for name, value in (("&deg;", "°"), ("&#176;", "°"), ("&nbsp;", " "), ("&#160;", " "), ("&quot;", '"'), ("&#39;", "'"), ("&apos;", "'"), ("&lt;", "<"), ("&gt;", ">"), ("&amp;", "&")):
+    for name, value in ENTITIES:
         c = F.replace(c, F.lit(name), F.lit(value))
     return c
 
@@ -75,9 +78,9 @@ def decode_url(c: Column) -> Column:
     return F.coalesce(F.try_url_decode(c), c)
 
 
-def mask(c: Column, kinds: tuple[str, ...] = tuple(DECOYS)) -> Column:
-    """Decoys as blanks."""
-    return functools.reduce(lambda x, k: F.regexp_replace(x, DECOYS[k], " "), kinds, c)
+def mask(c: Column, kinds: tuple[str, ...] = BARE_MASKS) -> Column:
+    """Decoys as blanks; what a decoy's pattern consumes around it stays."""
+    return functools.reduce(lambda x, k: F.regexp_replace(x, DECOYS[k], "$1 $2"), kinds, c)
 
 
 def windows(c: Column, size: int, overlap: int) -> Column:
@@ -95,22 +98,34 @@ def n_tokens(c: Column, method: str = "word") -> Column:
 # Detection.
 
 
-def has_coord_format(text: Column, name: str, masked: Column | None = None) -> Column:
-    """Whether a format occurs; bare pairs are sought with decoys masked, all others in the raw text but for origin pairs."""
-    if name == "c1_bare_pair":
-        return (mask(text) if masked is None else masked).rlike(COORDS[name])
-    return text.rlike(COORDS[name])
+def as_shown(html: Column) -> Column:
+    """A page without tags and entities, as far as detection needs it."""
+    return decode_entities(soften_tags(html))
+
+
+def has_coord_format(text: Column, name: str) -> Column:
+    """Whether a format occurs, apart from what must not count.  Masks are only made where the raw text has the format."""
+    pattern = COORDS[name]
+    masks = BARE_MASKS if name == "c1_bare_pair" else KEYED_MASKS
+    found = text.rlike(pattern) & mask(text, masks).rlike(pattern)
+    if name in READ_AS_SHOWN:
+        found = found | as_shown(text).rlike(pattern)
+    return F.when(text.rlike(GATES[name]), found).otherwise(False) if name in GATES else found
 
 
 def has_coords(text: Column, formats: tuple[str, ...] = tuple(COORDS)) -> Column:
     """Any coordinate.  A text without a digit is not looked at; formats are tried until one is found."""
-    zero_free = F.regexp_replace(text, DECOYS["zero"], " ")
-    found = functools.reduce(operator.or_, [has_coord_format(text if f == "c1_bare_pair" else zero_free, f) for f in formats])
+    found = functools.reduce(operator.or_, [has_coord_format(text, f) for f in formats])
     return F.coalesce(F.when(text.rlike(r"[0-9]"), found), F.lit(False))
 
 
+def has_address_format(text: Column, name: str) -> Column:
+    found = text.rlike(ADDRESSES[name])
+    return F.when(text.rlike(GATES[name]), found).otherwise(False) if name in GATES else found
+
+
 def has_address(text: Column, formats: tuple[str, ...] = tuple(ADDRESSES)) -> Column:
-    return F.coalesce(functools.reduce(operator.or_, [text.rlike(ADDRESSES[f]) for f in formats]), F.lit(False))
+    return F.coalesce(functools.reduce(operator.or_, [has_address_format(text, f) for f in formats]), F.lit(False))
 
 
 def evidence(text: Column) -> Column:
@@ -118,13 +133,21 @@ def evidence(text: Column) -> Column:
     none = F.array().cast("array<struct<kind:string,format:string,raw:string>>")
 
     def part(kind: str, name: str, pattern: str) -> Column:
-        raw = F.regexp_extract_all(mask(text) if name == "c1_bare_pair" else text, F.lit(pattern), F.lit(0))
+        seen = mask(text, BARE_MASKS if name == "c1_bare_pair" else KEYED_MASKS) if kind == "coord" else text
+        raw = F.regexp_extract_all(seen, F.lit(pattern), F.lit(0))
         return F.transform(raw, lambda r: F.struct(F.lit(kind).alias("kind"), F.lit(name).alias("format"), r.alias("raw")))
 
     both = [part("coord", k, v) for k, v in COORDS.items()] + [part("address", k, v) for k, v in ADDRESSES.items()]
     return F.coalesce(F.concat(*both), none)
 
 
+def first_example(text: Column, kind: str) -> Column:
+    """The first match of the first format of a kind that occurs, or null."""
+    pats = COORDS if kind == "coord" else ADDRESSES
+    has = has_coord_format if kind == "coord" else has_address_format
+    return F.coalesce(*[F.when(has(text, k), F.nullif(F.regexp_extract(text, v, 0), F.lit(""))) for k, v in pats.items()])
+
+
 # Spatial helpers.
 
 

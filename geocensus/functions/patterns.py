@@ -22,7 +22,7 @@ def _meta(name: str) -> str:
 #: Coordinate formats.  Bare pairs are range-checked by the pattern itself; keyed and labelled pairs are not.
 COORDS = {
     "c1_bare_pair": rf"(?:^|[^0-9A-Za-z.,+-]){_LAT}(?:[ ]?[,;][ ]?|[ ]){_LON}(?:$|[^0-9A-Za-z.])",
-    "c2_constructor": rf"(?:LatLng|latLng|LngLat|GeoPoint|Marker)\([ ]?\[?{_NUM}[ ]?,[ ]?{_NUM}",
+    "c2_constructor": rf"(?:(?:LatLng|latLng|LngLat|GeoPoint)\([ ]?\[?|Marker\([ ]?\[){_NUM}[ ]?,[ ]?{_NUM}",
     "c3_dms_after": rf"{_DMS}[ ]?[NS][^0-9]{{1,12}}{_DMS}[ ]?[EWO]",
     "c4_dms_before": rf"[NS][ ]?{_DMS}[^0-9]{{0,6}}[EWO][ ]?{_DMS}",
     "c5_meta": rf"(?:<meta[^>]{{1,80}}(?:geo\.position|ICBM)[^>]{{1,40}}content=[\"']{_NUM}[ ]?[;,][ ]?{_NUM}|{_meta('latitude')}[\"'][^<]{{0,40}}{_meta('longitude')}|{_meta('longitude')}[\"'][^<]{{0,40}}{_meta('latitude')})",
@@ -42,19 +42,37 @@ ADDRESSES = {
     "a5_microdata_spans": r"itemprop=[\"']streetAddress[\"']>[^<]{0,40}[0-9][^<]{0,40}<",
     "a6_pipes": rf"[A-Z][A-Za-z ]{{2,40}}[ ]\|[ ][A-Z][A-Za-z ]{{1,30}}(?:{_STREET})[ ]\|[^|<>]{{2,40}}\|[ ]{_POSTCODE}",
     "a7_map_query": r"map[^\"'<> ]{0,60}q=(?:[0-9]{1,5})?\+?[A-Z][^\"'<>& ]{0,40}\+[^\"'<>& ]{0,40}\+[^\"'<>& ]{2,40}",
-    "a8_escaped": r"(?:\\u0443\\u043b\\u0438\\u0446\\u0430|\\u043f\\u0435\\u0440\\u0435\\u0443\\u043b\\u043e\\u043a|\\u043f\\u0440\\u043e\\u0441\\u043f\\u0435\\u043a\\u0442)[^\"'<>]{0,80}[ ][0-9]{1,4}",
+    "a8_escaped": r"(?:(?:\\u0443\\u043b\\u0438\\u0446\\u0430|\\u043f\\u0435\\u0440\\u0435\\u0443\\u043b\\u043e\\u043a|\\u043f\\u0440\\u043e\\u0441\\u043f\\u0435\\u043a\\u0442)[^\"'<>]{0,80}[ ][0-9]{1,4}"
+    r"|(?:улица|ул\.|переулок|проспект|площадь|[Οο]δός|[Λλ]εωφόρος)[ ][^\"'<>\n]{0,60}[ ][0-9]{1,4}|[Ѐ-ӿ]{2,20}[ ](?:улица|переулок|проспект|площадь),?[ ][0-9]{1,4}"
+    r"|[一-龥]{1,10}(?:路|街|大道)[0-9]{1,5}[号號]|[一-龥]{1,8}[区市][一-龥]{0,8}[0-9]{1,4}(?:丁目|番地|-[0-9]{1,4}))",
     "a9_landmark_city": r"(?:Tower|Museum|House|Palace|Bridge|Cathedral|Theatre),?[ ][A-Z][a-z]{2,20},?[ ][A-Z]{2}(?:$|[^A-Za-z])",
     "a10_upper_block": rf"[A-Z][A-Z ]{{3,30}}\n[A-Z][A-Z ]{{2,30}}(?:ROAD|STREET|LANE|AVENUE)\n[A-Z ]{{3,30}}\n[A-Z ]{{0,20}}{_POSTCODE}",
     "a11_number_after": r"(?:[A-Z][a-zäöüß]{2,20}(?:straße|strasse|weg|platz|gasse)[ ][0-9]{1,4}|[0-9]{1,4},?[ ](?:rue|avenue|place)[ ](?:de |du |des |la ){0,2}[A-Z][a-zéèê]{2,20}|(?:Calle|Avenida|Plaza)[ ](?:de |del |la ){0,2}[A-Z][a-záéíóúñ]{2,20},?[ ][0-9]{1,4})",
     "a12_filler": rf"[0-9]{{1,5}}[ ][A-Z][a-z]{{1,20}}[ ](?:{_STREET})<br[ ]?/?>[A-Z][A-Za-z ]{{2,30}},[ ][A-Z]{{2}}",
 }
-#: What must not count; each is masked by a blank before bare pairs are sought.
+_ZERO = r"-?0(?:\.0{1,9})?"
+_ZLAT = rf"[Ll]at(?:itude)?[\"']?[ ]?[:=][ ]?[\"']?{_ZERO}"
+_ZLON = rf"[Ll](?:on|ng)(?:gitude)?[\"']?[ ]?[:=][ ]?[\"']?{_ZERO}"
+_BETWEEN = r"[\"']?[ \t\r\n,;&]{1,8}[\"']?"
+#: What must not count.  Where a mark ends at a character that it consumes, the pattern keeps it as its last group.
 DECOYS = {
-    "zero": r"-?0\.0{1,9}(?:[ ]?[,;][ ]?|[ ])-?0\.0{1,9}",
-    "celestial": r"(?:RA|Dec|right ascension|declination)[ :=]{1,3}-?\+?[0-9]{1,3}(?:[.h°][0-9 .hm's°]{1,20})?[ ,;]{0,3}(?:-?\+?[0-9]{1,3}\.[0-9]{1,9})?",
-    "ipv4": r"[0-9]{1,3}\.[0-9]{1,3}\.[0-9]{1,3}\.[0-9]{1,3}",
-    "phone": r"\+[0-9][0-9 ().-]{8,20}",
+    "zero": rf"(^|[^0-9A-Za-z.]){_ZERO}(?:[ ]?[,;][ ]?|[ ]){_ZERO}($|[^0-9.])",
+    "zero_keys": rf"()(?:{_ZLAT}{_BETWEEN}{_ZLON}|{_ZLON}{_BETWEEN}{_ZLAT}|<lat>{_ZERO}</lat>[ \t\r\n]{{0,8}}<lon>{_ZERO})($|[^0-9.])",
+    "celestial": r"(^|[^A-Za-z])(?:RA[ :=]{1,3}[0-9]{1,3}[0-9 .:hms'°]{0,24}[ ,;]{1,3}Dec[ :=]{1,3}[+-]?[0-9]{1,3}[0-9 .:d'\"°]{0,24}|[Rr]ight ascension[ :=]{1,3}[0-9]{1,3}[0-9 .:hms'°]{0,24}(?:[ ,;]{1,3}(?:and )?declination[ :=]{1,3}[+-]?[0-9]{1,3}[0-9 .:d'\"°]{0,24})?)($|[^0-9])",
+    "quantity": r"(^|[^A-Za-z])(?:[Pp]rices?|[Vv]ersions?|[Rr]atios?|[Ss]cores?|[Rr]ates?|[Cc]osts?|[Ww]eights?)[ :=]{1,3}[$€£]?[0-9]{1,6}\.[0-9]{1,9}(?:[ ]?[,;][ ]?[$€£]?[0-9]{1,6}\.[0-9]{1,9})?($|[^0-9.])",
+    "ipv4": r"()[0-9]{1,3}\.[0-9]{1,3}\.[0-9]{1,3}\.[0-9]{1,3}()",
+    "phone": r"()\+[0-9][0-9 ().-]{8,20}()",
 }
+#: Masks for bare pairs, and for all other formats.
+BARE_MASKS, KEYED_MASKS = tuple(DECOYS), ("zero", "zero_keys")
+#: A cheap look for what each format cannot do without; a format is only tried where its gate holds.
+GATES = {
+    "c2_constructor": r"Lng|LngLat|GeoPoint|Marker", "c3_dms_after": "°|&deg;|&#176;", "c4_dms_before": "°|&deg;|&#176;", "c5_meta": "<meta", "c6_keys": r"[Ll](?:on|ng)(?:gitude)?[\"']?[ ]?[:=]", "c7_grid_id": "27700", "c8_easting": "asting",
+    "c9_map_link": "href=", "c10_embed": "<iframe", "c11_xml_point": "<lat>|<gml:pos>|POINT|coordinates", "a2_floor": "piso", "a3_microdata_content": "itemprop=", "a4_postal_object": "streetAddress", "a5_microdata_spans": "itemprop=", "a6_pipes": r"\|",
+    "a7_map_query": "q=", "a10_upper_block": r"(?:ROAD|STREET|LANE|AVENUE)\n", "a12_filler": "<br",
+}
+#: Formats whose parts a page may split by tags or write as entities: they are sought in the page as read, too.
+READ_AS_SHOWN = ("c3_dms_after", "c4_dms_before")
 #: The widest baseline: any decimal number.
 ANY_DECIMAL = r"[0-9]{1,3}\.[0-9]+"
 #: Pairs without ranges, least decimals or masks.

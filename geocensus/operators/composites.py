@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 
 from geocensus.operators import sampling as S
 from geocensus.operators import study as Y
-from geocensus.sources.index import fetch_by_scan
+from geocensus.sources.index import fetch_by_scan, stored
 
 # A few of the commonest words of the four languages of the tables.
 STOP_WORDS = {"en": "the|of|and|to|in|is|that|was", "de": "der|die|und|den|das|ist|nicht|mit", "fr": "le|et|les|des|un|est|pour|dans", "es": "que|el|los|y|del|las|por|con"}
@@ -33,8 +33,8 @@ def full_scan(docs: DataFrame, text_col: str, keep: list[str], by: str) -> DataF
 
 def judge_study(planted: DataFrame, id_col: str, text_col: str) -> dict[str, DataFrame]:
     """Responses, categories and both audits of the rule judge."""
-    r = Y.triage(Y.rule_judge(planted, id_col, text_col))
-    return {"responses": r, "verdicts": Y.categorise(r), "grounding": Y.audit_grounding(r, planted, id_col, text_col), "misses": Y.audit_misses(r)}
+    r = Y.triage(stored(Y.rule_judge(planted, id_col, text_col), "responses"))
+    return {"responses": r, "verdicts": Y.categorise(r), "grounding": Y.audit_grounding(r, planted, id_col, text_col), "misses": Y.audit_misses(r, planted, id_col)}
 
 
 def lang_group(html: Column) -> Column:

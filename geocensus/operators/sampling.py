@@ -77,6 +77,32 @@ def coverage(df: DataFrame, strata: list[str], k: int) -> DataFrame:
     return df.groupBy(*strata).agg(F.count("*").alias("n")).where(F.col("n") < k)
 
 
+def interval_coverage(df: DataFrame, stratum: str, id_col: str, hit: str, k: int, seeds: int, z: float = 1.96) -> DataFrame:
+    """``seeds, covered, covered_fpc, covered_stratified, mean_margin, mean_margin_fpc``: how often intervals hold the known share.
+
+    ``k`` rows per stratum are drawn for each seed.  Intervals are the plain normal one, with the finite-population correction, and
+    of the stratified estimate (strata weighted by size, corrected in each).  One shuffle of at most ``k`` rows per stratum, seed and task.
+    """
+    sizes = df.groupBy(stratum).agg(F.count("*").alias("__all"), F.count_if(hit).alias("__hits"))
+    total = sizes.agg(F.sum("__all").alias("__n"), (F.sum("__hits") / F.sum("__all")).alias("__p"))
+    d = df.select(stratum, id_col, F.col(hit).alias("__hit")).withColumn("__seed", F.explode(F.sequence(F.lit(0), F.lit(seeds - 1))))
+    order = F.md5(F.concat_ws("|", F.concat(F.lit("cover"), F.col("__seed").cast("string")), F.col(id_col).cast("string")))
+    d = d.withColumn("__nth", F.row_number().over(Window.partitionBy("__seed", stratum).orderBy(order, id_col))).where(F.col("__nth") <= k)
+    cells = d.groupBy("__seed", stratum).agg(F.count("*").alias("m"), F.count_if("__hit").alias("x")).join(F.broadcast(sizes), stratum)  # as many rows as strata
+    cells = cells.crossJoin(F.broadcast(total))
+    w, p = F.col("__all") / F.col("__n"), F.col("x") / F.col("m")
+    spread = F.when(F.col("m") > 1, w * w * p * (1.0 - p) / (F.col("m") - 1) * (1.0 - F.col("m") / F.col("__all"))).otherwise(0.0)
+    s = cells.groupBy("__seed", "__n", "__p").agg(F.sum("m").alias("m"), F.sum("x").alias("x"), F.sum(w * p).alias("ps"), F.sum(spread).alias("vs"))
+    share = F.col("x") / F.col("m")
+    plain = F.lit(z) * F.sqrt(share * (1.0 - share) / F.col("m"))
+    fpc = plain * F.sqrt((F.col("__n") - F.col("m")) / F.greatest(F.col("__n") - 1, F.lit(1)))
+    inside = lambda mid, half: F.count_if(F.abs(mid - F.col("__p")) <= half + 1e-12)
+    return s.agg(
+        F.count("*").alias("seeds"), inside(share, plain).alias("covered"), inside(share, fpc).alias("covered_fpc"), inside(F.col("ps"), F.lit(z) * F.sqrt("vs")).alias("covered_stratified"),
+        F.round(F.avg(plain), 6).alias("mean_margin"), F.round(F.avg(fpc), 6).alias("mean_margin_fpc"),
+    )
+
+
 def sample_then_fetch(index: DataFrame, docs: DataFrame, strata: list[str], k: int, seed: str, id_col: str, rows: int = 200_000) -> DataFrame:
     """Bodies of a sample drawn from the narrow index; ids are broadcast while they are few."""
     ids = stratified_sample(index, strata, k, seed, [id_col]).select(id_col)

@@ -6,10 +6,10 @@ import functools
 from collections.abc import Callable, Iterator
 
 import pandas as pd
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from geocensus.functions.columns import GEO_MIMES, RELEASES, TLD_COUNTRY, bucket, evidence, has_address, has_coords, is_geo_mime, n_tokens, normal_mime
+from geocensus.functions.columns import GEO_MIMES, RELEASES, TLD_COUNTRY, bucket, first_example, has_address, has_coord_format, has_coords, is_geo_mime, n_tokens, normal_mime
 from geocensus.functions.patterns import ADDRESSES, ANY_DECIMAL, ANY_PAIR, COORDS, DECOYS, KEYWORDS, LICENCE
 
 # Census.
@@ -27,7 +27,7 @@ def mime_census_summary(index: DataFrame) -> DataFrame:
     """Per release and pooled: geospatial files, all documents, percentage; one pass."""
     geo = F.count_if(is_geo_mime(F.col("mime"))).cast("long")
     out = index.rollup("release").agg(geo.alias("geo_files"), F.count("*").alias("all_files"))
-    return out.select(F.coalesce("release", F.lit("all")).alias("release"), "geo_files", "all_files", F.round(100.0 * F.col("geo_files") / F.col("all_files"), 4).alias("pct"))
+    return out.select(F.coalesce("release", F.lit("all")).alias("release"), "geo_files", "all_files", F.round(100.0 * F.col("geo_files") / F.nullif(F.col("all_files"), F.lit(0)), 4).alias("pct"))
 
 
 def mime_candidates(index: DataFrame, pattern: str = "geo|gml|gpx|kml|kmz|shape|tcx|georss|openstreetmap") -> DataFrame:
@@ -47,11 +47,14 @@ def prevalence(flags: DataFrame, by: str | None = None, z: float = 1.96) -> Data
     a, c = F.col("has_addr"), F.col("has_coord")
     counts = [F.count("*").alias("n"), F.count_if(a | c).alias("x_any"), F.count_if(a).alias("x_addr"), F.count_if(c).alias("x_coord"), F.count_if(a & c).alias("x_both")]
     g = flags.rollup(by).agg(*counts).withColumn(by, F.coalesce(F.col(by).cast("string"), F.lit("all"))) if by else flags.agg(*counts)
-    share = lambda x: F.round(100.0 * F.col(x) / F.col("n"), 4)
-    p = F.col("x_any") / F.col("n")
+    n = F.nullif(F.col("n"), F.lit(0))  # an empty population has no shares
+    share = lambda x: F.round(100.0 * F.col(x) / n, 4)
+    p = lambda x: F.col(x) / n
+    margin = lambda x: F.round(100.0 * F.lit(z) * F.sqrt(p(x) * (1.0 - p(x)) / n), 4)
+    kinds = ("any", "addr", "coord", "both")
     return g.select(
-        *([by] if by else []), "n", "x_any", "x_addr", "x_coord", "x_both", *[share(f"x_{k}").alias(f"pct_{k}") for k in ("any", "addr", "coord", "both")],
-        F.round(100.0 * F.lit(z) * F.sqrt(p * (1.0 - p) / F.col("n")), 4).alias("margin_pp"), F.round(100.0 * F.col("x_both") / F.nullif(F.col("x_addr"), F.lit(0)), 4).alias("coord_given_addr"), F.round(100.0 * F.col("x_both") / F.nullif(F.col("x_coord"), F.lit(0)), 4).alias("addr_given_coord"),
+        *([by] if by else []), "n", *[f"x_{k}" for k in kinds], *[share(f"x_{k}").alias(f"pct_{k}") for k in kinds], *[margin(f"x_{k}").alias("margin_pp" if k == "any" else f"margin_pp_{k}") for k in kinds],
+        F.round(100.0 * F.col("x_both") / F.nullif(F.col("x_addr"), F.lit(0)), 4).alias("coord_given_addr"), F.round(100.0 * F.col("x_both") / F.nullif(F.col("x_coord"), F.lit(0)), 4).alias("addr_given_coord"),
     )
 
 
@@ -65,8 +68,34 @@ def stability(prevalences: DataFrame, by: str) -> DataFrame:
     return prevalences.where(F.col(by) != "all").agg(F.round(F.max("pct_any") - F.min("pct_any"), 4).alias("spread_pp"))
 
 
+def two_proportion_z(prevalences: DataFrame, by: str, first: str, second: str) -> DataFrame:
+    """``kind, z``: the pooled two-proportion statistic of two groups' shares."""
+    one = lambda k, name: F.max(F.when(F.col(by) == k, F.col(name)))
+    kinds = ("any", "addr", "coord", "both")
+    g = prevalences.agg(one(first, "n").alias("n1"), one(second, "n").alias("n2"), *[one(k, f"x_{x}").alias(f"{x}{i}") for x in kinds for i, k in ((1, first), (2, second))])
+
+    def z(x: str) -> Column:
+        pool = (F.col(f"{x}1") + F.col(f"{x}2")) / (F.col("n1") + F.col("n2"))
+        spread = F.sqrt(pool * (1.0 - pool) * (1.0 / F.col("n1") + 1.0 / F.col("n2")))
+        return F.round((F.col(f"{x}1") / F.col("n1") - F.col(f"{x}2") / F.col("n2")) / F.nullif(spread, F.lit(0.0)), 6)
+
+    return g.select(F.inline(F.array(*[F.struct(F.lit(x).alias("kind"), z(x).alias("z")) for x in kinds])))
+
+
+def wilson_intervals(prevalences: DataFrame, by: str, z: float = 1.96) -> DataFrame:
+    """``kind, lo, hi`` per group: Wilson's intervals of all four shares, which stay inside 0 and 1 for rare kinds."""
+    n, zz = F.col("n"), F.lit(z * z)
+
+    def ends(x: str) -> Column:
+        p = F.col(f"x_{x}") / n
+        mid, half = p + zz / (2 * n), F.lit(z) * F.sqrt(p * (1.0 - p) / n + zz / (4 * n * n))
+        return F.struct(F.lit(x).alias("kind"), F.round((mid - half) / (1 + zz / n), 6).alias("lo"), F.round((mid + half) / (1 + zz / n), 6).alias("hi"))
+
+    return prevalences.where("n > 0").select(by, F.inline(F.array(*[ends(x) for x in ("any", "addr", "coord", "both")])))
+
+
 def extrapolate(prevalences: DataFrame, population: float) -> DataFrame:
-    return prevalences.select((F.lit(population) * F.col("x_any") / F.col("n")).alias("documents"))
+    return prevalences.select((F.lit(population) * F.col("x_any") / F.nullif(F.col("n"), F.lit(0))).alias("documents"))
 
 
 def confusion(flags: DataFrame, pred: str, truth: str) -> DataFrame:
@@ -77,25 +106,24 @@ def confusion(flags: DataFrame, pred: str, truth: str) -> DataFrame:
     return g.select("tp", "fp", "fn", "tn", F.round(tp / F.nullif(tp + F.col("fp"), F.lit(0)), 6).alias("precision"), F.round(tp / F.nullif(tp + F.col("fn"), F.lit(0)), 6).alias("recall"), F.round(2.0 * tp / F.nullif(2 * tp + F.col("fp") + F.col("fn"), F.lit(0)), 6).alias("f1"))
 
 
-def format_counts(df: DataFrame, text_col: str, patterns: dict[str, str]) -> DataFrame:
-    """``format, docs``: documents in which each format occurs.  One pass; two rows of counts leave a task, not one per match."""
-    got = df.agg(*[F.count_if(F.col(text_col).rlike(v)).alias(k) for k, v in patterns.items()])
-    return got.select(F.explode(F.array(*[F.struct(F.lit(k).alias("format"), F.col(k).alias("docs")) for k in patterns])).alias("x")).select("x.format", "x.docs")
-
-
 def coord_sources(df: DataFrame, text_col: str) -> DataFrame:
-    return format_counts(df, text_col, {k: COORDS[k] for k in ("c2_constructor", "c5_meta", "c6_keys", "c9_map_link", "c10_embed")})
+    """``format, docs``: documents in which each coordinate format occurs, by the detector's own rules.  One pass."""
+    got = df.agg(*[F.count_if(F.coalesce(has_coord_format(F.col(text_col), k), F.lit(False))).alias(k) for k in COORDS])
+    return got.select(F.explode(F.array(*[F.struct(F.lit(k).alias("format"), F.col(k).alias("docs")) for k in COORDS])).alias("x")).select("x.format", "x.docs")
 
 
 # Profiles.
 
 
-def language_balance(population: DataFrame, sample: DataFrame, top: int | None = 20, exclude: str = "en") -> DataFrame:
+def language_balance(population: DataFrame, sample: DataFrame, top: int | None = 20, exclude: str | None = "en") -> DataFrame:
+    """Shares of each language in both; the report leaves out one language and keeps the ``top`` of the rest, distances keep all."""
+
     def share(d: DataFrame, name: str) -> DataFrame:
         g = d.groupBy(F.coalesce("lang", F.lit("UNK")).alias("lang")).agg(F.count("*").alias("n"))
         return g.crossJoin(F.broadcast(d.agg(F.count("*").alias("all")))).select("lang", F.round(100.0 * F.col("n") / F.col("all"), 4).alias(name))
 
-    out = share(population, "pop_pct").join(share(sample, "sample_pct"), "lang", "full_outer").where(F.col("lang") != exclude)
+    out = share(population, "pop_pct").join(share(sample, "sample_pct"), "lang", "full_outer")
+    out = out if exclude is None else out.where(F.col("lang") != exclude)
     out = out.select("lang", F.coalesce("pop_pct", F.lit(0.0)).alias("pop_pct"), F.coalesce("sample_pct", F.lit(0.0)).alias("sample_pct"))
     out = out.withColumn("diff", F.round(F.col("sample_pct") - F.col("pop_pct"), 4))
     return out if top is None else out.orderBy(F.desc("pop_pct"), "lang").limit(top)
@@ -105,6 +133,13 @@ def total_variation(balance: DataFrame) -> DataFrame:
     return balance.agg(F.round(F.sum(F.abs("diff")) / 2.0, 4).alias("tv_pct"))
 
 
+def distribution_distances(balance: DataFrame, n_sample: Column) -> DataFrame:
+    """Total variation, chi-square of the sample's counts, and divergence of the sample from the population, in nats."""
+    p, q = F.col("pop_pct") / 100, F.col("sample_pct") / 100
+    chi, kl = n_sample * F.pow(q - p, 2) / F.nullif(p, F.lit(0.0)), F.when(q > 0, q * F.ln(q / F.nullif(p, F.lit(0.0)))).otherwise(0.0)
+    return balance.agg(F.round(F.sum(F.abs("diff")) / 2.0, 4).alias("tv_pct"), F.round(F.sum(chi), 4).alias("chi_square"), F.round(F.sum(kl), 6).alias("kl"))
+
+
 def tld_frequency(index: DataFrame, min_pct: float = 1.0) -> DataFrame:
     spark = index.sparkSession
     dim = spark.createDataFrame(list(TLD_COUNTRY), "tld string, country string")
@@ -113,7 +148,7 @@ def tld_frequency(index: DataFrame, min_pct: float = 1.0) -> DataFrame:
     return g.join(F.broadcast(dim), "tld", "left").select("tld", "country", "n", "pct")
 
 
-def length_histogram(docs: DataFrame, text_col: str, width: int = 100, cap: int = 2000, prompt_tokens: int = 60) -> DataFrame:
+def length_histogram(docs: DataFrame, text_col: str, width: int = 100, cap: int = 200_000, prompt_tokens: int = 60) -> DataFrame:
     """Documents per class of length in tokens, the prompt's included; longer ones share the last class."""
     t = F.least((n_tokens(F.col(text_col)) + prompt_tokens), F.lit(cap))
     return docs.groupBy((F.floor(t / width) * width).cast("long").alias("tokens_from")).agg(F.count("*").alias("n"))
@@ -121,7 +156,7 @@ def length_histogram(docs: DataFrame, text_col: str, width: int = 100, cap: int
 
 def length_stats(docs: DataFrame, text_col: str) -> DataFrame:
     t = docs.select(n_tokens(F.col(text_col), "char4").alias("t"))
-    return t.agg(F.count("*").alias("n"), F.round(F.avg("t"), 4).alias("mean"), F.max("t").alias("max"), F.expr("percentile(t, 0.5)").alias("median"), F.expr("percentile(t, 0.9)").alias("p90"))
+    return t.agg(F.count("*").alias("n"), F.round(F.avg("t"), 4).alias("mean"), F.max("t").alias("max"), F.expr("percentile(t, 0.5)").alias("median"), F.expr("percentile(t, 0.9)").alias("p90"), F.round(F.skewness("t"), 4).alias("skewness"))
 
 
 # The judge.
@@ -155,18 +190,27 @@ def ask(df: DataFrame, judge: Callable[[list[str]], list[tuple[str, str]]], id_c
     return df.select(id_col, prompt_col).mapInPandas(run, "id long, status string, text string")
 
 
-def rule_judge(planted: DataFrame, id_col: str, text_col: str) -> DataFrame:
-    """A judge without a model: answers from detection, and errs at fixed rates by id.
+PREFIX, BETWEEN = "The page has places: ", " ¦ "
+INVENTED = "12.34567, 98.76543"
 
-    Of 1,000 ids 12 fail, 8 are refused, and 30 of the decoys are taken for places; negatives come with and without full stop.
+
+def rule_judge(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
+    """``id, status, text``: a judge without a model, that answers from the page alone and errs by id.
+
+    Of 1,000 pages 12 fail, 8 are refused, 20 have their places missed, and 10 get a place that is not in them.  A third each of the
+    answers names both kinds, coordinates first, addresses first; half of the pages with a telephone number or a machine's address have
+    it taken for a place; negatives come with and without full stop.
     """
-    b = bucket("judge", id_col)
-    status = F.when(b < 12, "internal_error").when(b < 20, "unsafe").otherwise("ok")
-    over = F.col("truth_format").isin("phone", "ipv4", "landmark", "celestial") & (b >= 500)
-    d = doc_flags(planted, text_col, [id_col, "truth_format", "truth_snippet", "truth_addr", "truth_coord"])
-    found = F.col("has_coord") | F.col("has_addr")
-    text = F.when(status != "ok", "").when(found & F.col("truth_snippet").isNotNull(), F.concat(F.lit("The page has places: "), F.col("truth_snippet"))).when(over, F.concat(F.lit("The page has places: "), F.col("truth_snippet"))).when(b % 2 == 0, "None").otherwise("None.")
-    return d.select(F.col(id_col).alias("id"), status.alias("status"), text.alias("text"), "truth_addr", "truth_coord", "truth_snippet")
+    b, text = bucket("judge", id_col), F.col(text_col)
+    d = docs.select(F.col(id_col).alias("id"), b.alias("b"), (bucket("judge-miss", id_col) < 20).alias("missed"), (bucket("judge-invent", id_col) < 10).alias("invents"), F.when(text.rlike("[0-9]"), first_example(text, "coord")).alias("c"), first_example(text, "address").alias("a"), text.alias("t"))
+    number = F.coalesce(*[F.nullif(F.regexp_extract("t", DECOYS[k], 0), F.lit("")) for k in ("phone", "ipv4")])
+    style = F.col("b") % 3
+    said = F.when(style == 0, F.concat_ws(BETWEEN, "c", "a")).when(style == 1, F.coalesce("c", "a")).otherwise(F.coalesce("a", "c"))
+    said = F.when(F.col("invents"), F.lit(INVENTED)).when(F.col("missed"), F.lit(None)).when(F.col("c").isNotNull() | F.col("a").isNotNull(), said).when(F.col("b") >= 500, number)
+    status = F.when(F.col("b") < 12, "internal_error").when(F.col("b") < 20, "unsafe").otherwise("ok")
+    d = d.select("id", status.alias("status"), "b", said.alias("said"))
+    answer = F.when(F.col("status") != "ok", "").when(F.col("said").isNotNull(), F.concat(F.lit(PREFIX), F.col("said"))).when(F.col("b") % 2 == 0, "None").otherwise("None.")
+    return d.select("id", "status", answer.alias("text"))
 
 
 def triage(responses: DataFrame) -> DataFrame:
@@ -186,27 +230,61 @@ def retry_list(todo: DataFrame, responses: DataFrame, id_col: str = "id") -> Dat
     return todo.join(responses.where("status <> 'internal_error'").select(id_col), id_col, "left_anti")
 
 
+def _drawn(responses: DataFrame, outcome: str, n: int, seed: str) -> DataFrame:
+    """A random ``n`` of the responses with an outcome; a bound, so it may be broadcast."""
+    return responses.where(F.col("outcome") == outcome).orderBy(F.md5(F.concat_ws("|", F.lit(seed), F.col("id").cast("string"))), "id").limit(n)
+
+
 def audit_grounding(responses: DataFrame, docs: DataFrame, id_col: str, text_col: str, n: int = 100, seed: str = "audit") -> DataFrame:
-    """Of a random ``n`` positives, how many answers occur in their page.  The sample's ids are the broadcast side."""
-    pos = responses.where("outcome = 'to_review'").orderBy(F.md5(F.concat_ws("|", F.lit(seed), F.col("id").cast("string"))), "id").limit(n)
-    pos = pos.select(F.col("id").alias("__id"), F.expr("substr(text, 22)").alias("said"))
-    j = docs.join(F.broadcast(pos), docs[id_col] == F.col("__id"))
-    return j.agg(F.count("*").alias("n"), F.count_if(F.contains(text_col, "said")).alias("found"))
+    """Of a random ``n`` positives, in how many every example occurs in the page.  The sample is the broadcast side."""
+    pos = _drawn(responses, "to_review", n, seed).select(F.col("id").alias("__id"), F.split(F.substring("text", F.lit(len(PREFIX) + 1), F.length("text")), BETWEEN).alias("said"))
+    j = docs.select(id_col, text_col).join(F.broadcast(pos), F.col(id_col) == F.col("__id"))
+    grounded = F.forall("said", lambda e: F.contains(F.col(text_col), e))
+    return j.agg(F.count("*").alias("n"), F.count_if(grounded).alias("found"))
+
+
+def audit_misses(responses: DataFrame, truth: DataFrame, id_col: str, n: int = 100, seed: str = "audit") -> DataFrame:
+    """Of a random ``n`` negatives, how many hold a place by ``truth_addr`` and ``truth_coord``, which the judge never sees."""
+    neg = _drawn(responses, "negative", n, seed).select(F.col("id").alias("__id"))
+    j = truth.select(id_col, "truth_addr", "truth_coord").join(F.broadcast(neg), F.col(id_col) == F.col("__id"))
+    return j.agg(F.count("*").alias("n"), F.count_if(F.col("truth_addr") | F.col("truth_coord")).alias("missed"))
 
 
-def audit_misses(responses: DataFrame, n: int = 100, seed: str = "audit") -> DataFrame:
-    """Of a random ``n`` negatives, how many hold a place by the planted truth."""
-    neg = responses.where("outcome = 'negative'").orderBy(F.md5(F.concat_ws("|", F.lit(seed), F.col("id").cast("string"))), "id").limit(n)
-    return neg.agg(F.count("*").alias("n"), F.count_if(F.col("truth_addr") | F.col("truth_coord")).alias("missed"))
+def compare_modes(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
+    """One combined question against two separate ones, each call missing places on its own in 20 of 1,000 pages."""
+    d = doc_flags(docs, text_col, [id_col])
+    heard = lambda mode: bucket(f"ask-{mode}", id_col) >= 20
+    c, a = F.col("has_coord"), F.col("has_addr")
+    return d.select(((c | a) & heard("combined")).alias("combined"), ((c & heard("coord")) | (a & heard("addr"))).alias("separate")).groupBy("combined", "separate").agg(F.count("*").alias("n"))
 
 
-def compare_modes(planted: DataFrame, id_col: str, text_col: str) -> DataFrame:
-    """Agreement of one combined question with two separate ones."""
-    d = doc_flags(planted, text_col, [id_col])
-    both = F.col("has_coord") | F.col("has_addr")
-    e = planted.select(F.col(id_col).alias("k"), evidence(F.col(text_col)).alias("e"))
-    j = d.join(e, d[id_col] == e["k"]).select(both.alias("separate"), (F.size("e") > 0).alias("combined"))
-    return j.groupBy("separate", "combined").agg(F.count("*").alias("n"))
+def ask_until_done(todo: DataFrame, judge: Callable[[list[str]], list[tuple[str, str]]], id_col: str, prompt_col: str, folder: str, rounds: int = 3) -> DataFrame:
+    """Answers of ``ask``; pages with an internal error are asked again, up to ``rounds`` times, refused ones are final.
+
+    Each round is written below ``folder``, so a lost executor or driver asks no page again that has its answer.
+    """
+    spark, done = todo.sparkSession, None
+    for k in range(rounds):
+        left = todo if done is None else todo.join(done.select(F.col("id").alias(id_col)), id_col, "left_anti")
+        ask(left, judge, id_col, prompt_col).write.mode("overwrite").parquet(f"{folder}/round={k}")
+        final = spark.read.parquet(folder).where(f"status <> 'internal_error' or round = {k}")
+        done = final.where("status <> 'internal_error'")
+        if final.where("status = 'internal_error'").isEmpty():
+            break
+    return final.select("id", "status", "text")
+
+
+def retry_rounds(docs: DataFrame, id_col: str, rounds: int = 3, headroom_pct: float = 3.7) -> DataFrame:
+    """``round, asked, answered, refused, errors, lost, headroom``: the rule judge's failures, asked again, against the sample's headroom."""
+    err = [bucket("judge" if k == 0 else f"judge-{k}", id_col) < 12 for k in range(rounds)]
+    refused = bucket("judge", id_col).between(12, 19)
+    asked, rows = F.lit(True), []
+    for k in range(rounds):
+        rows.append(F.struct(F.lit(k + 1).alias("round"), asked.alias("asked"), (asked & err[k]).alias("error"), (asked & refused).alias("refused")))
+        asked = asked & err[k] & ~refused
+    g = docs.select(F.inline(F.array(*rows))).groupBy("round").agg(F.count_if("asked").alias("asked"), F.count_if("error").alias("errors"), F.count_if("refused").alias("refused"), F.count("*").alias("n"))
+    first = F.max(F.when(F.col("round") == 1, F.col("refused"))).over(Window.partitionBy())  # of a few rounds
+    return g.select("round", "asked", (F.col("asked") - F.col("errors") - F.col("refused")).alias("answered"), "refused", "errors", (first + F.col("errors")).alias("lost"), F.floor(F.col("n") * F.lit(headroom_pct) / 100).cast("long").alias("headroom"))
 
 
 # Costs.
@@ -241,7 +319,15 @@ def short_string_address(text: Column, longest: int = 200) -> Column:
     return F.exists(F.split(text, "\n"), lambda x: (F.length(x) <= longest) & x.rlike(ADDRESSES["a1_number_street"]))
 
 
-def gazetteer_address(text: Column, places: tuple[str, ...] = ("Kelton", "Wexley", "Sarnheim", "Milford", "Oxley"), strip: bool = True) -> Column:
+# A gazetteer of its own: large cities, written down without a look at what is planted.
+GAZETTEER = (
+    "Amsterdam", "Athens", "Barcelona", "Berlin", "Birmingham", "Boston", "Bremen", "Bristol", "Brussels", "Budapest", "Chicago", "Cologne", "Copenhagen", "Dallas", "Denver", "Dresden", "Dublin", "Frankfurt", "Glasgow", "Hamburg",
+    "Houston", "Leeds", "Lille", "Lisbon", "Liverpool", "London", "Lyon", "Madrid", "Manchester", "Marseille", "Melbourne", "Milan", "Munich", "Naples", "Nice", "Oslo", "Paris", "Prague", "Rome", "Seattle", "Seville", "Stockholm",
+    "Stuttgart", "Sydney", "Toronto", "Toulouse", "Turin", "Valencia", "Vienna", "Warsaw", "Zurich",
+)
+
+
+def gazetteer_address(text: Column, places: tuple[str, ...] = GAZETTEER, strip: bool = True) -> Column:
     """Patterns plus place names; with tags stripped first, attributes and scripts are lost."""
     t = F.regexp_replace(text, "<[^>]{0,1000}>", " ") if strip else text
     named = functools.reduce(lambda a, b: a | b, [F.contains(t, F.lit(p)) for p in places])
@@ -278,10 +364,15 @@ def svm_windows(planted: DataFrame, id_col: str, text_col: str, size: int = 400,
     return confusion(by, "pred", "truth")
 
 
-def needle_recall(benchmark: DataFrame, documents: DataFrame, depths: tuple[int, ...] = (0, 50, 100), haystacks: int = 10) -> DataFrame:
-    """Needles put at several depths of ten haystacks, and found again: recall per depth.  The haystacks are a stated set of ten."""
-    hay = documents.orderBy(F.desc("n_chars"), "doc_id").limit(haystacks).select("text")
-    n = F.floor(F.length("text") * F.col("depth") / 100).cast("int")
-    grid = benchmark.select(F.col("text").alias("needle")).crossJoin(F.broadcast(hay)).select("needle", "text", F.explode(F.array(*[F.lit(d) for d in depths])).alias("depth"))
-    put = F.concat(F.substring("text", F.lit(1), n), F.col("needle"), F.substring("text", n + 1, F.length("text")))
-    return grid.select("depth", F.contains(put, "needle").alias("hit")).groupBy("depth").agg(F.count("*").alias("n"), F.count_if("hit").alias("found"))
+def needle_grid(docs: DataFrame, id_col: str, text_col: str, needles: tuple[str, ...], depths: tuple[int, ...] = (0, 25, 50, 75, 100)) -> DataFrame:
+    """``depth, length_class, n, found``: one needle at one depth of every document, both by its id, found or not by detection.
+
+    The length class is the power of four characters that a document reaches.
+    """
+    number = lambda seed, n: bucket(seed, id_col, n).cast("int")
+    d = docs.select(F.coalesce(F.col(text_col), F.lit("")).alias("t"), F.element_at(F.array(*[F.lit(x) for x in needles]), number("needle", len(needles)) + 1).alias("needle"), F.element_at(F.array(*[F.lit(x) for x in depths]), number("depth", len(depths)) + 1).alias("depth"))
+    at = F.floor(F.length("t") * F.col("depth") / 100).cast("int")
+    put = F.concat(F.substring("t", F.lit(1), at), F.lit("\n"), F.col("needle"), F.lit("\n"), F.substring("t", at + 1, F.length("t")))
+    size = F.floor(F.log2(F.greatest(F.length("t"), F.lit(1)).cast("double")) / 2).cast("int")
+    d = d.select("depth", size.alias("length_class"), put.alias("t")).select("depth", "length_class", has_coords(F.col("t")).alias("hit"))
+    return d.groupBy("depth", "length_class").agg(F.count("*").alias("n"), F.count_if("hit").alias("found"))

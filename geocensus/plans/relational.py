@@ -10,8 +10,10 @@ from pyspark.sql import functions as F
 
 from geocensus.functions import columns as C
 from geocensus.functions.patterns import ANY_DECIMAL
+from geocensus.operators.sampling import bernoulli_sample
 from geocensus.plans.workloads import PD, doc_flags, planted_docs
 from geocensus.sources import index as I
+from geocensus.sources.planter import quoted
 
 Query = Callable[[SparkSession, str], DataFrame]
 _Q: dict[str, Query] = {}
@@ -104,13 +106,14 @@ def _joins() -> None:
     for how, side in (("left_semi", "where exists (select 1 from labels l where l.doc_id = d.doc_id)"), ("left_anti", "where not exists (select 1 from labels l where l.doc_id = d.doc_id)")):
         _add(f"join_{how[5:]}", lambda s, d, how=how: T(s, d, "documents").select("doc_id").join(T(s, d, "labels").select("doc_id"), "doc_id", how), f"select d.doc_id from documents d {side}")
     for how in ("left", "right", "full"):
-        _add(f"join_{how}_outer", lambda s, d, how=how: T(s, d, "documents").where("doc_id % 3 = 0").select("doc_id", "lang").join(T(s, d, "labels").where("doc_id % 2 = 0").select("doc_id", "quality"), "doc_id", how), f"select doc_id, lang, quality from (select doc_id, lang from documents where doc_id % 3 = 0) {how} join (select doc_id, quality from labels where doc_id % 2 = 0) using (doc_id)")
+        _add(f"join_{how}_outer", lambda s, d, how=how: T(s, d, "documents").select("doc_id", "lang").join(T(s, d, "labels").select("doc_id", "quality"), "doc_id", how), f"select coalesce(d.doc_id, l.doc_id) as doc_id, lang, quality from documents d {how} join labels l on d.doc_id = l.doc_id")
     _add("join_cross", lambda s, d: T(s, d, "region").crossJoin(T(s, d, "nation")).select("r_name", "n_name"), "select r_name, n_name from region, nation")
     band = "select a.p_partkey as a, b.p_partkey as b from part a join part b on a.p_size = b.p_size and a.p_retailprice < b.p_retailprice and b.p_retailprice < a.p_retailprice + 5"
     _plain("join_theta", band, ("part",))
     _add("join_range", lambda s, d: _range_join(s, d), "select e.event_id, w.k from events e join (select distinct user_id as k, date_trunc('day', ts) as lo from events where event_type = (select min(event_type) from events)) w on e.user_id = w.k and e.ts >= w.lo and e.ts < w.lo + interval 6 hour")
     _add("join_asof", lambda s, d: _asof(s, d), "select event_id, (select max(o_orderdate) from orders where o_custkey = e.user_id and o_orderdate <= e.ts) as last_order from events e")
-    _add("join_self", lambda s, d: doc_flags(s, d).alias("a").join(doc_flags(s, d).alias("b"), F.expr("a.doc_id = b.doc_id and a.has_coord = b.has_addr")).select(F.col("a.doc_id").alias("doc_id")), None)
+    pair = "select a.source, a.doc_id as first, b.doc_id as later from documents a join documents b on a.source = b.source and a.n_chars = b.n_chars and a.doc_id < b.doc_id"
+    _plain("join_self", pair, ("documents",))
     _add("join_nullsafe", lambda s, d: T(s, d, "labels").select(F.when(F.col("doc_id") % 5 > 0, F.col("quality")).alias("k")).distinct().join(T(s, d, "labels").select(F.when(F.col("doc_id") % 7 > 0, F.col("toxic")).alias("j")).distinct(), F.col("k").eqNullSafe(F.col("j"))), "select * from (select distinct case when doc_id % 5 > 0 then quality end as k from labels) join (select distinct case when doc_id % 7 > 0 then toxic end as j from labels) on k is not distinct from j")
     _add("join_salted", lambda s, d: _salted(s, d), "select p_brand, count(*) as n, sum(l_quantity) as qty from lineitem join part on l_partkey = p_partkey group by 1")
     _plain("fn_subquery", "select c_custkey from customer where c_custkey in (select o_custkey from orders where o_totalprice > (select avg(o_totalprice) from orders)) and not exists (select 1 from nation where n_nationkey = c_nationkey and n_regionkey = 0)", ("customer", "orders", "nation"))
@@ -203,7 +206,7 @@ def _windows() -> None:
     _plain("topk", "select o_orderkey, o_totalprice from orders order by o_totalprice desc, o_orderkey limit 25", ("orders",))
     _plain("limit_offset", "select o_orderkey from orders order by o_orderkey limit 10 offset 20", ("orders",))
     for name, op in (("set_union_all", "union all"), ("set_union", "union"), ("set_intersect", "intersect"), ("set_intersect_all", "intersect all"), ("set_except", "except"), ("set_except_all", "except all")):
-        _plain(name, f"select doc_id % 40 as k from documents where doc_id % 2 = 0 {op} select doc_id % 40 as k from labels where doc_id % 3 = 0", ("documents", "labels"))
+        _plain(name, f"select doc_id from documents {op} select doc_id from labels", ("documents", "labels"))
     _add("set_union_by_name", lambda s, d: T(s, d, "documents").select(F.col("doc_id").alias("id"), "lang").unionByName(T(s, d, "pages").select(F.col("page_id").alias("id"), "url"), allowMissingColumns=True), "select doc_id as id, lang, null::varchar as url from documents union all select page_id, null, url from pages")
     _add("dedup_texts", lambda s, d: T(s, d, "documents").groupBy(F.sha2("text", 256).alias("h")).agg(F.min("doc_id").alias("doc_id")), "select sha256(text) as h, min(doc_id) as doc_id from documents group by 1")
 
@@ -222,9 +225,12 @@ def _functions() -> None:
     _add("fn_map", lambda s, d: T(s, d, "labels").select("doc_id", F.create_map(F.lit("quality"), "quality", F.lit("toxic"), "toxic").alias("m")).select("doc_id", F.col("m")["toxic"].alias("toxic"), F.size(F.map_filter("m", lambda k, v: v > 0)).cast("long").alias("positive")), "select doc_id, toxic, (case when quality > 0 then 1 else 0 end + case when toxic > 0 then 1 else 0 end)::bigint as positive from labels")
     _add("fn_json", lambda s, d: T(s, d, "events").select("event_id", F.get_json_object("props", "$.k").cast("long").alias("k"), F.from_json("props", "k long")["k"].alias("j"), F.to_json(F.struct("event_id")).alias("o")), "select event_id, (props->>'$.k')::bigint as k, (props->>'$.k')::bigint as j, '{\"event_id\":' || event_id || '}' as o from events")
     _add("fn_variant", lambda s, d: T(s, d, "events").select("event_id", F.try_variant_get(F.parse_json("props"), "$.k", "long").alias("k")), "select event_id, (props->>'$.k')::bigint as k from events")
-    _add("fn_explode", lambda s, d: T(s, d, "embeddings").select("vec_id", F.posexplode("embedding").alias("pos", "x")).where("pos < 3").select("vec_id", "pos"), "select vec_id, unnest([0, 1, 2])::int as pos from embeddings")
+    _add("fn_explode", lambda s, d: T(s, d, "embeddings").select("vec_id", F.posexplode("embedding").alias("pos", "x")).select("vec_id", "pos", F.col("x").cast("double").alias("x")), "select vec_id, (unnest(range(0, len(embedding))))::int as pos, unnest(embedding)::double as x from embeddings")
     _add("fn_unescape", lambda s, d: T(s, d, "region").select("r_regionkey", C.unescape_unicode(F.concat("r_name", F.lit(" \\u0436\\u00e9 x \\ud83d\\ude00"))).alias("t")), "select r_regionkey, r_name || ' жé x 😀' as t from region")
-    _add("fn_soften", lambda s, d: T(s, d, "pages").select("page_id", F.md5(C.decode_entities(C.soften_tags(F.col("html")))).alias("h")), "select page_id, md5(" + "".join(["replace("] * 10) + "regexp_replace(html, '<[^>]{0,1000}>', ' ', 'g')" + "".join(f", {a}, {b})" for a, b in (("'&deg;'", "'°'"), ("'&#176;'", "'°'"), ("'&nbsp;'", "' '"), ("'&#160;'", "' '"), ("'&quot;'", "'\"'"), ("'&#39;'", "''''"), ("'&apos;'", "''''"), ("'&lt;'", "'<'"), ("'&gt;'", "'>'"), ("'&amp;'", "'&'"))) + ") as h from pages")
+    softened = "regexp_replace(html, '<[^>]{0,1000}>', ' ', 'g')"
+    for name, value in C.ENTITIES:
+        softened = f"replace({softened}, {quoted(name)}, {quoted(value)})"
+    _add("fn_soften", lambda s, d: T(s, d, "pages").select("page_id", F.md5(C.as_shown(F.col("html"))).alias("h")), f"select page_id, md5({softened}) as h from pages")
 
 
 def _user_functions() -> None:
@@ -254,8 +260,29 @@ def _user_functions() -> None:
 
         return T(s, d, "documents").select("doc_id", "text").mapInPandas(run, "doc_id long, hit boolean")
 
+    def arrow_udf(s: SparkSession, d: str) -> DataFrame:
+        def hit(x):  # noqa: ANN001, ANN202
+            import pyarrow.compute as pc
+
+            return pc.match_substring_regex(x, ANY_DECIMAL)
+
+        return T(s, d, "documents").select("doc_id", F.arrow_udf(hit, "boolean")("text").alias("hit"))
+
+    def cogroup(s: SparkSession, d: str) -> DataFrame:
+        """Sample against population, source by source: narrow rows of one source at a time, counted beforehand."""
+
+        def both(a: pd.DataFrame, b: pd.DataFrame) -> pd.DataFrame:
+            k = a["source"].iloc[0] if len(a) else b["source"].iloc[0]
+            return pd.DataFrame({"source": [k], "in_all": [int(a["n"].sum())], "in_sample": [int(b["n"].sum())]})
+
+        count = lambda x: x.groupBy("source", "lang").agg(F.count("*").alias("n"))
+        all_docs = T(s, d, "documents").select("doc_id", "source", "lang")
+        sample = bernoulli_sample(all_docs, 0.2, "lb", ["doc_id"])
+        return count(all_docs).groupBy("source").cogroup(count(sample).groupBy("source")).applyInPandas(both, "source string, in_all long, in_sample long")
+
+    _add("cogroup_in_pandas", cogroup, "select source, count(*) as in_all, count(*) filter (('0x' || substr(md5('lb|' || doc_id), 1, 8))::bigint < 858993459) as in_sample from documents group by 1")
     _add("udf_native", lambda s, d: T(s, d, "documents").select("doc_id", F.col("text").rlike(ANY_DECIMAL).alias("hit")), raw)
-    for name, f in (("udf_sql", sql_udf), ("udf_python", python_udf), ("udf_pandas", pandas_udf), ("map_in_pandas", map_in_pandas)):
+    for name, f in (("udf_sql", sql_udf), ("udf_python", python_udf), ("udf_pandas", pandas_udf), ("udf_arrow", arrow_udf), ("map_in_pandas", map_in_pandas)):
         _add(name, f, raw)
 
     def udaf(s: SparkSession, d: str) -> DataFrame:

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import os
+import tempfile
 import uuid
 from collections.abc import Iterator
 
@@ -21,7 +22,11 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    return spark.conf.get("spark.checkpoint.dir", None) or "/tmp/checkpoints/geocensus"
+    """``spark.checkpoint.dir``; in local mode a folder of its own where that is unset."""
+    folder = spark.conf.get("spark.checkpoint.dir", None)
+    if not folder and not spark.sparkContext.master.startswith("local"):
+        raise ValueError("spark.checkpoint.dir names no folder that all executors share")
+    return folder or os.path.join(tempfile.gettempdir(), "geocensus-checkpoints")
 
 
 def scratch(spark: SparkSession, label: str) -> str:
@@ -29,6 +34,13 @@ def scratch(spark: SparkSession, label: str) -> str:
     return f"{shared_dir(spark).rstrip('/')}/{label}-{uuid.uuid4().hex}"
 
 
+def stored(df: DataFrame, label: str) -> DataFrame:
+    """``df`` written to the shared folder and read again: later steps read its rows and not its expressions."""
+    path = scratch(df.sparkSession, label)
+    df.write.parquet(path)
+    return df.sparkSession.read.schema(df.schema).parquet(path)
+
+
 def local(path: str) -> str:
     """``path`` as a task opens it: the shared folder is mounted everywhere."""
     return "/" + path[5:].lstrip("/") if path.startswith("file:") else path

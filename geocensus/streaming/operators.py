@@ -15,6 +15,8 @@ from pyspark.sql import types as T
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
 from geocensus.functions.columns import order_key
+from geocensus.operators import study as Y
+from geocensus.plans import workloads as W
 from geocensus.sources import index as I
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -131,10 +133,23 @@ def bottom_k(s: SparkSession, d: str, k: int = 20) -> DataFrame:
 
 
 def running_prevalence(s: SparkSession, d: str) -> DataFrame:
-    """Counts of a running estimate, merged by key from batch to batch."""
-    e = _arrivals(s, d, files=4)
-    g = e.groupBy("event_type").agg(F.count("*").alias("n"), F.count_if(F.col("value") > 50).alias("x"))
-    return _drained(g, "update", "event_type")
+    """Planted pages arrive in files; flags are found as they come, and each batch's counts are merged by release into a table.
+
+    A batch writes under its own number, so one that runs again after a failure replaces itself.
+    """
+    pages = W.planted_pages(s, d).select("page_id", "html", "release")
+    path, counts, state = I.scratch(s, "arrivals-pages"), I.scratch(s, "stream-prevalence"), I.scratch(s, "stream-state")
+    pages.repartitionByRange(4, "page_id").write.parquet(path)
+    arriving = s.readStream.schema(pages.schema).option("maxFilesPerTrigger", 1).parquet(path)
+
+    def merge(batch: DataFrame, n: int) -> None:
+        f = Y.doc_flags(batch, "html", ["release"])
+        a, c = F.col("has_addr"), F.col("has_coord")
+        f.groupBy("release").agg(F.count("*").alias("n"), F.count_if(a | c).alias("x_any"), F.count_if(a).alias("x_addr"), F.count_if(c).alias("x_coord"), F.count_if(a & c).alias("x_both")).write.mode("overwrite").parquet(f"{counts}/batch={n}")
+
+    arriving.writeStream.foreachBatch(merge).option("checkpointLocation", state).trigger(availableNow=True).start().awaitTermination()
+    told = s.read.schema("release string, n long, x_any long, x_addr long, x_coord long, x_both long, batch int").parquet(counts)
+    return told.groupBy("release").agg(*[F.sum(x).alias(x) for x in ("n", "x_any", "x_addr", "x_coord", "x_both")])
 
 
 _QUERIES: dict[str, tuple[Query, str | None]] = {
@@ -146,7 +161,7 @@ _QUERIES: dict[str, tuple[Query, str | None]] = {
     "stream_static_join": (static_join, "select event_id, c_mktsegment from events join customer on user_id = c_custkey"),
     "stream_stream_join": (stream_join, "select a.event_id as a, b.event_id as b from events a join events b on a.user_id = b.user_id and b.ts >= a.ts and b.ts <= a.ts + interval 1 hour where a.event_id % 2 = 0 and b.event_id % 2 = 1"),
     "stream_bottom_k": (bottom_k, "select event_type, event_id from (select *, row_number() over (partition by event_type order by md5('s1|' || event_id), event_id) as nth from events) where nth <= 20"),
-    "stream_prevalence": (running_prevalence, "select event_type, count(*) as n, count(*) filter (value > 50) as x from events group by 1"),
+    "stream_prevalence": (running_prevalence, f"with {W.PAGE_FLAGS} select release, {W.COUNTS} from f group by 1"),
 }
 
 

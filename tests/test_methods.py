@@ -1,8 +1,10 @@
 """Formulas, detection unit cases, invariants and plans."""
 
+import re
+
 import pytest
 from geocensus.functions import columns as C
-from geocensus.functions.patterns import ADDRESSES, COORDS
+from geocensus.functions.patterns import ADDRESSES, COORDS, GATES, READ_AS_SHOWN
 from geocensus.operators import sampling as S
 from geocensus.operators import study as Y
 from geocensus.plans.workloads import planted_docs
@@ -76,7 +78,8 @@ def test_plans(spark, sf, capsys):
     S.stratified_sample(d, ["source"], 5, "s1", ["doc_id"]).explain()
     assert "WindowGroupLimit" in capsys.readouterr().out
     Y.mime_census(I.crawl_index(spark, sf)).explain()
-    assert "html" not in capsys.readouterr().out
+    schemas = re.findall(r"ReadSchema: (\S+)", capsys.readouterr().out)
+    assert schemas and not any("html" in x for x in schemas)
     Y.doc_flags(d.withColumn("t", F.col("source")), "t", ["doc_id"]).explain()
     assert "Python" not in capsys.readouterr().out
 
@@ -133,3 +136,71 @@ def test_reverse_spaced_and_separate(spark):
     swapped = '<meta property="og:longitude" content="12.49">\n<meta property="og:latitude" content="41.90">'
     got = flags(spark, ['{"lng": 12.49637, "lat": 41.90278}', "at 51.50123 -0.14189 there", meta, swapped, "3.141 is pi", "rows 1.23 4.56", "0.0000 0.0000"])
     assert [got[i][0] for i in range(7)] == [True] * 4 + [False] * 3
+
+
+#: Wordings by format that the patterns were not written from; ``{}`` takes numbers.
+PLACES = ((48.13743, 11.57549), (-34.60368, -58.38157), (1.35208, 103.81983), (64.14661, -21.94264), (19.43261, -99.13321))
+WORDINGS = {
+    "c1_bare_pair": ("We met at ({lat}, {lon}) twice.", "waypoint {lat};{lon}", "[{lat}, {lon}]", "fix {lat} {lon}\nend"),
+    "c2_constructor": ("new google.LatLng({lat}, {lon})", "var m = L.latLng({lat},{lon});", "ol.GeoPoint( {lat} , {lon} )", "L.Marker([{lat}, {lon}]).addTo(map)"),
+    "c6_keys": ("{{lat:{lat},lng:{lon}}}", "'lon': '{lon}',\n 'lat': '{lat}'", "?lat={lat}&lon={lon}", "Latitude: {lat}, Longitude: {lon}"),
+    "c9_map_link": ("<a href='http://maps.site/@{lat},{lon},12z'>", '<a href="https://site/map?ll={lat},{lon}&z=3">', '<a href="//map.site/?q={lat}%2C{lon}">'),
+    "c11_xml_point": ("<lat>{lat}</lat>\n<lon>{lon}</lon>", "POINT({lon} {lat})", '"coordinates":[{lon},{lat}]', "<gml:pos>{lat} {lon}</gml:pos>"),
+    "c5_meta": ('<meta name="ICBM" content="{lat}, {lon}">', "<meta name='geo.position' content='{lat};{lon}' />"),
+}
+SHOWN = ("48&deg;08&#39;14&quot;N, 11&deg;34&#39;31&quot;E", "<td>48°08'14\"N<br/>11°34'31\"E</td>", "N 48° 08' 14'' <b>E 11° 34' 31''</b>")
+WRITTEN = ("14 Orchard Lane", "221 Old Mill Road, Ely", "'streetAddress':'8 Rue X'", "3, rue de la Paix", "Calle Mayor 12", "Hauptweg 5a", "улица Ленина 12", "ул. Садовая, д 7", "Οδός Ερμού 15", "上海市南京路100号", "東京都渋谷区神南1丁目", "Grand Bridge, Salem, OR")
+NOT_PLACES = ("Marker(3, 4)", "price 12.345; 99.999", "version 12.345, 6.789", "LatLng(0,0)", "lat=0&lng=0", '"latitude": 0.0, "longitude": 0.0', "POINT(0 0)", "<lat>0.0</lat><lon>0</lon>", "RA 5.60361, Dec -1.20194", "RA 05h36m12s, Dec -01 12 07", "right ascension 10.68458", "0.000; -0.0", "ratio 1.234, 5.678", "+49 30 12345678", "10.0.0.1 and 10.0.0.2", "3.14159 2.71828 as numbers go"[:7], "x = 0.0, 0.0", "95.12345, 10.12345")
+PLACES_STILL = ("Dec 5 51.50123, -0.14189", "CAMERA 3 51.50123, -0.14189", "LatLng(10.0, 0.05)", "50.000, 0.00512", "POINT(0 51.5)", "lat: 0, lng: 9.45", "0.00000, 9.45356")
+
+
+def test_wordings_never_seen(spark):
+    """Recall and precision per format on over a hundred wordings that were not planted."""
+    cases = [(k, w.format(lat=a, lon=b)) for k, ws in WORDINGS.items() for w in ws for a, b in PLACES]
+    got = flags(spark, [t for _, t in cases])
+    recall = {k: sum(got[i][0] for i, (f, _) in enumerate(cases) if f == k) / sum(f == k for f, _ in cases) for k in WORDINGS}
+    assert len(cases) >= 100 and all(v >= 0.9 for v in recall.values()), recall
+    wrong = [t for (t, v) in zip(NOT_PLACES, flags(spark, NOT_PLACES).values(), strict=True) if v[0]]
+    lost = [t for (t, v) in zip(PLACES_STILL + SHOWN, flags(spark, PLACES_STILL + SHOWN).values(), strict=True) if not v[0]]
+    missed = [t for (t, v) in zip(WRITTEN, flags(spark, WRITTEN).values(), strict=True) if not v[1]]
+    assert (wrong, lost) == ([], []) and len(missed) <= 1, (wrong, lost, missed)
+
+
+def test_gates_change_nothing(spark):
+    texts = [s for _, s in COORD_SNIPPETS + ADDRESS_SNIPPETS + DECOY_SNIPPETS + HELD_OUT] + list(NOT_PLACES + PLACES_STILL + SHOWN + WRITTEN)
+    d = spark.createDataFrame([(t,) for t in texts], "t string")
+    for pats, has in ((COORDS, C.has_coord_format), (ADDRESSES, C.has_address_format)):
+        for k, v in pats.items():
+            if k in GATES and k not in READ_AS_SHOWN:
+                assert d.where(F.col("t").rlike(v) & ~F.col("t").rlike(GATES[k])).count() == 0, k
+
+
+def test_judge_errs_at_its_rates(spark):
+    d = planted_docs(spark, "/root/testdata/sf0.01")
+    r = Y.triage(I.stored(Y.rule_judge(d.select("doc_id", "text"), "doc_id", "text"), "responses"))
+    assert "truth_addr" not in r.columns
+    shares = {x["status"]: x["n"] for x in r.groupBy("status").agg(F.count("*").alias("n")).collect()}
+    assert 2 <= shares["internal_error"] <= 30 and 1 <= shares["unsafe"] <= 25
+    invented = r.where(F.contains("text", F.lit(Y.INVENTED))).count()
+    audit = Y.audit_grounding(r, d, "doc_id", "text", n=1000).first()
+    assert invented > 0 and audit["found"] == audit["n"] - invented
+    misses = Y.audit_misses(r, d, "doc_id", n=1000).first()
+    assert 0 < misses["missed"] < 0.05 * misses["n"]
+
+
+def test_failed_pages_are_asked_again(spark):
+    d = spark.createDataFrame([(i, f"p{i}") for i in range(50)], "doc_id long, p string")
+    folder = I.scratch(spark, "asked")
+
+    def judge(prompts):  # noqa: ANN001, ANN202
+        return [("unsafe", "") if p.endswith("3") else ("internal_error", "") if p.endswith("7") else ("ok", "None") for p in prompts]
+
+    got = Y.ask_until_done(d, judge, "doc_id", "p", folder, rounds=3).groupBy("status").count().collect()
+    assert {r["status"]: r["count"] for r in got} == {"ok": 40, "unsafe": 5, "internal_error": 5}
+    assert spark.read.parquet(folder).where("status = 'internal_error'").count() == 15
+
+
+def test_intervals_cover_the_known_share(spark):
+    d = I.table(spark, "/root/testdata/sf0.01", "documents").select("source", "doc_id", (F.col("lang") == "en").alias("hit"))
+    r = S.interval_coverage(d, "source", "doc_id", "hit", 10, 60).first()
+    assert r["seeds"] == 60 and r["covered"] >= r["covered_fpc"] >= 0.85 * 60 and r["covered_stratified"] >= 0.85 * 60 and r["mean_margin_fpc"] < r["mean_margin"]
