@@ -112,6 +112,99 @@ def test_discovered_identifiers_vouch_for_contexts(spark):
     assert all(got[100 + i].startswith("email:18:") for i in range(12)) and got[300] == "email:22:37"
 
 
+def patterns(inst, left, right):
+    """The operator's patterns in plain Python."""
+    l, r = re.findall(r"[^\x20\x09-\x0D]+", left), re.findall(r"[^\x20\x09-\x0D]+", right)
+    form = re.sub("[0-9]", "9", re.sub(r"[^\W\d_]+", "a", inst))
+    out = [("L", l[-1] if l else ""), ("R", r[0] if r else ""), ("B", f"{l[-1]} {r[0]}" if l and r else ""), ("LL", " ".join(l) if len(l) > 1 else ""), ("RR", " ".join(r) if len(r) > 1 else ""), ("F", form if len(form) >= pii.FORM else "")]
+    return [(k, w) for k, w in out if w]
+
+
+def scored(rows, rounds=3, support=5, least=0.8):
+    """The graph of patterns and instances, scored by loops."""
+    at, known = {}, {}
+    for r in rows:
+        for x in r["seeds"]:
+            known[(x["inst"], x["n"])] = 1.0
+        for x in [*r["seeds"], *r["mentions"]]:
+            for p in patterns(x["inst"], x["left"], x["right"]):
+                at.setdefault(p, set()).add(x["inst"])
+    seeds, conf = {i for i, _ in known}, dict(known)
+    for _ in range(rounds):
+        doubt = {}
+        for p, members in at.items():
+            mass = {n: sum(conf.get((i, n), 0.0) for i in members) for n in range(4)}
+            for n, m in mass.items():
+                if m >= support and (score := m / (sum(mass.values()) if p[0] == "F" else len(members))) >= least:
+                    for i in members - seeds:
+                        doubt[(i, n)] = doubt.get((i, n), 1.0) * (1 - 0.999 * score)
+        conf = {**known, **{k: 1 - v for k, v in doubt.items()}}
+    best = {}
+    for (i, n), c in conf.items():
+        if i not in seeds and c >= least:
+            best[i] = max(best.get(i, (0.0, -1)), (c, n))
+    return best
+
+
+def luhn(prefix):
+    """``prefix`` with the digit that makes the checksum right, and with one that makes it wrong."""
+    good = next(c for c in "0123456789" if valid("card", prefix + c))
+    return prefix + good, prefix + str((int(good) + 1) % 10)
+
+
+def test_bootstrap_by_brute_force(spark):
+    r = random.Random(4)
+    rows = []
+    for i in range(60):
+        a, b = "".join(r.choices("0123456789", k=15)), r.choice(["card", "account", "number"])
+        rows.append(f"my {b} is {luhn(a)[i % 3 == 0]} since {i} weeks at user{i}@mail.org or jane.doe{i}(at)mail from 10.0.{i}.{i % 7}")
+        rows.append(f"write to {'jane.doe' if i % 2 else 'x'}{r.randrange(30)}(at)mail soon, ratio 17.{i} and 999.{i}.1.1")
+    scanned = pii.scan(spark.createDataFrame(list(enumerate(rows)), "doc_id long, text string")).persist()
+    got = {x["inst"]: (x["conf"], x["n"]) for x in pii.bootstrap(scanned).collect()}
+    want = scored(scanned.collect())
+    assert got.keys() == want.keys() and len(want) > 10
+    for k, (c, n) in want.items():
+        assert got[k][1] == n and got[k][0] == pytest.approx(c, abs=1e-9)
+
+
+def test_unseen_identifiers_per_kind(spark):
+    """Planted identifiers that no base pattern takes: refused cards, written-out mails, without digits too, and with blanks."""
+    r = random.Random(8)
+    card = lambda: "".join(r.choices("0123456789", k=15))
+    rows = [f"word {r.random()} his card {luhn(card())[0]} thanks" for _ in range(20)] + [f"please mail person{i}@site{i}.org today or never" for i in range(60)]
+    hidden = [("card", luhn(card())[1]) for _ in range(10)] + [("email", f"{a}.{b}(at)site") for a in ("ann", "bob", "cleo") for b in ("lee", "may", "orr")]
+    rows += [f"{'his card' if k == 'card' else 'please mail'} {x} {'thanks' if k == 'card' else 'today or never'}" for k, x in hidden]
+    rows += [f"plain prose of {i} words, version 2.{i}" for i in range(20)]
+    got = {x["doc_id"]: x["spans"] for x in pii.digest(spark.createDataFrame(list(enumerate(rows)), "doc_id long, text string")).collect()}
+    for i, (kind, x) in enumerate(hidden, 80):
+        at = rows[i].index(x)
+        assert f"{kind}:{at}:{at + len(x)}" in got[i].split(",")
+    assert not any(got[i] for i in range(80 + len(hidden), len(rows)))
+
+
+def test_repeats_in_large_groups(spark):
+    """Six thousand copies of a text and six thousand that share a passage, and rows that repeat an id or lack one."""
+    passage = " ".join(f"p{i}" for i in range(25))
+    rows = [(i, "copy " + passage) for i in range(6000)] + [(10_000 + i, f"own{i} words{i} {passage} tail{i}") for i in range(6000)] + [(5, "copy " + passage), (None, passage), (None, None)]
+    got = repeats.remove_repeats_digest(spark.createDataFrame(rows, "doc_id long, text string").repartition(8)).toPandas()
+    assert len(got) == len(rows)
+    first = got[got.doc_id == 0].iloc[0]
+    assert (first.n_words, first.n_removed) == (26, 0)
+    copies = got[(got.doc_id > 0) & (got.doc_id < 6000)]
+    assert (copies.n_removed == 26).all() and len(copies) == 6000
+    assert (got[got.doc_id >= 10_000].n_removed == 25).all()
+    assert sorted(got[got.doc_id.isna()].n_removed) == [0, 25]
+
+
+def test_phrases_are_found_beside_other_words():
+    rows = [b" ".join(b"w%d" % (i * 7 + k) for k in range(20)) for i in range(300)]
+    p = repeats.Phrases(rows, [(1, 20 * i) for i in range(300)])
+    words = b" x ".join([rows[3], rows[250], rows[3][:-1]]).split()
+    assert sorted(p.repeated(9, words)) == [(0, 20), (21, 41)] and list(p.repeated(1, rows[2].split())) == [(0, 20)]
+    assert list(repeats.Phrases(rows, [(1, 0)] * 300).repeated(1, rows[0].split())) == []
+    assert list(repeats.Phrases([], []).repeated(1, words)) == []
+
+
 def test_pieces_equal_the_library(spark, sf):
     codec = piece_codec.PieceCodec(model_path())
     texts = ["", " ", "a ", "▁", "a▁b", "\n\n a\t b", "日本語 😀", "a\x00b", "   a   b   ", "\r\n x;\r"] + [r["text"] for r in read(spark, sf, "documents").collect()]
@@ -146,6 +239,41 @@ def test_rule_counts_by_brute_force(spark, sf):
         assert (g["n_words"], g["word_chars"], g["n_symbols"], g["n_dup_lines"], g["n_repeat_words"]) == (len(w), sum(map(len, w)), sum(c in "#*$%&|<>" for c in t), len(lines) - len(set(lines)), len(covered))
 
 
+def test_rule_verdicts_by_brute_force(spark):
+    from math import comb
+
+    r = random.Random(2)
+    rows, known = [], []
+    for i in range(2400):
+        words = [f"w{r.randrange(10**6)}" for _ in range(20)]
+        noisy = i % 8 == 0
+        rows.append((i, " ".join(words) + (" " + "#" * 30 if noisy else "")[: 31], "ab"[i % 2] if i % 5 else None))
+        known.append((i, 0 if noisy else 1, None))
+    d, l = spark.createDataFrame(rows, "doc_id long, text string, lang string"), labels(spark, known)
+    got = {x["doc_id"]: x for x in quality_rules.judge(d, l).collect()}
+    features = {x["doc_id"]: x for x in quality_rules.counts(d).collect()}
+    per = {"symbols_per_word": ("n_symbols", "n_words"), "marks_per_word": ("n_marks", "n_words"), "dup_line_share": ("n_dup_lines", "n_lines"), "repeat_share": ("n_repeat_words", "n_words"), "word_length": ("word_chars", "n_words")}
+    value = lambda f, k: f[per[k][0]] / f[per[k][1]] if f[per[k][1]] else 0.0
+    good = [features[i] for i, q, _ in known if q == 1]
+    strata, cuts = {f["stratum"] for f in good}, {}
+    for s in strata:
+        own = [f for f in good if f["stratum"] == s]
+        for k, tried in quality_rules.RULES.items():
+            for c in tried:
+                n, hits = len(own), sum(value(f, k) > c for f in own)
+                p = sum(comb(n, j) * 0.01**j * 0.99 ** (n - j) for j in range(hits + 1)) if hits <= n * 0.01 else 1.0
+                if p > 0.05 / (len(strata) * len(quality_rules.RULES)):
+                    break
+                cuts[s, k] = c
+    assert len(strata) == 3 and cuts
+    for i, f in features.items():
+        base = f["n_words"] < 10 or 100 * f["n_repeat_words"] > 20 * f["n_words"]
+        bad = any(value(f, k) > cuts.get((f["stratum"], k), float("inf")) for k in per)
+        assert (got[i]["base_failed"], got[i]["kept"]) == (base, not base and not bad)
+    # A stratum of 480 labels is too small to certify a cutoff, and keeps its rows.
+    assert not any(got[i]["kept"] for i in range(0, 2400, 8) if i % 5) and got[40]["kept"]
+
+
 def test_binomial_tail(spark):
     from math import comb
 
@@ -206,6 +334,32 @@ def test_toxicity_held_out():
     assert ((p >= 0.5) & (y == 0)).sum() <= 3 and ((p >= 0.5) & (y == 1)).sum() >= 0.8 * y.sum()
 
 
+def test_rows_that_share_ids_or_names(spark):
+    big = 2**53 + 1
+    rows = [(6, "one text here", "x"), (6, "another text here", "y"), (6, "one text  here", "z"), (None, "no id", "x"), (None, "none either", "x"), (None, "no id", "x"), (3, "another text here", "q")]
+    d = spark.createDataFrame(rows, "doc_id long, text string, digest string")
+    kept = sorted((r["doc_id"] or 0, r["text"]) for r in exact_dedup.drop_exact_duplicates(d).collect())
+    assert kept == [(0, "no id"), (0, "none either"), (3, "another text here"), (6, "one text  here")]
+    near = near_dup.drop_near_duplicates(d)
+    assert near.columns == d.columns and sorted({r["text"].split()[0] for r in near.collect()}) == ["another", "no", "none", "one"] and near.count() == 4
+    assert near_dup.near_duplicates(d).count() == len(rows)
+    clash = spark.createDataFrame([(big, "fine words", 0.5, "a", 1), (None, "more words", 0.1, "b", 2), (1, None, None, None, None)], "doc_id long, text string, score double, t string, predicted int")
+    for f in (lambda x: toxicity.drop_toxic(x, labels(spark)), lambda x: toxicity.drop_toxic(x, labels(spark, [(big, 1, 0), (1, 1, 1)]))):
+        assert f(clash).columns == clash.columns and {r["doc_id"] for r in f(clash).collect()} == {big, None, 1}
+    for f in (lambda x: toxicity.toxicity(x, labels(spark)), lambda x: byte_convnet.quality(x, labels(spark)), lambda x: piece_codec.encode_digest(x, model_path())):
+        assert {r["doc_id"] for r in f(clash).collect()} == {big, None, 1}
+    assert {r["score"] for r in byte_convnet.quality(clash, labels(spark)).collect()} == {0.5}
+
+
+def test_pages_with_awkward_rows(spark):
+    schema = "page_id long, url string, html string, text string, path string, host string"
+    page = "<article><p>" + 5 * PROSE + "</p></article>"
+    d = spark.createDataFrame([(1, "http://a.org/1", page, "x", "y", "z"), (1, "http://a.org/1", page, "x", "y", "z"), (None, None, page, None, None, None), (2, "not a url", None, None, None, None)], schema)
+    got = page_text.main_text(d).collect()
+    assert len(got) == 4 and sum("plain prose" in r["text"] for r in got) == 3
+    assert page_text.main_text(spark.createDataFrame([], schema)).collect() == []
+
+
 def test_kernel_by_brute_force():
     words = ["idiot", "idiiot", "banana", "stu"]
     from itertools import combinations
@@ -238,4 +392,7 @@ def test_pipeline(spark, sf):
         assert docs.columns == before.columns
         kept = {r["doc_id"] for r in docs.select("doc_id").collect()}
         assert kept <= {r["doc_id"] for r in before.select("doc_id").collect()} and kept, n
-    assert corpus_pipeline.STAGES[4][1](spark, docs, sf).count() == docs.count()
+    sp = piece_codec.PieceCodec(model_path()).sp
+    sha = lambda x: hashlib.sha256(x.encode()).hexdigest()
+    want = sorted((r["doc_id"], len(e := sp.encode(r["text"])), sha(",".join(map(str, e))), sha(sp.decode(e))) for r in docs.collect())
+    assert sorted(tuple(r) for r in corpus_pipeline.STAGES[4][1](spark, docs, sf).collect()) == want
