@@ -104,7 +104,7 @@ def scan(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> Dat
         seeds.append(F.filter(F.transform(f"{kind}_m", _seed(kind, n)), lambda x: x["ok"]))
     d = d.withColumn("found", F.sort_array(F.concat(*seeds)))
     d = d.drop(*[f"{k}_{x}" for k in KINDS for x in "msp"])
-    d = _located(d, "mention", _MENTION, F.col("any"))
+    d = _located(d, "mention", _MENTION, F.col("t").rlike(r"[0-9@_()\[\]{}=:\\]"))
 
     def core(x: Column, i: Column) -> Column:
         lead = F.length(F.regexp_extract(x, f"^{_EDGE}*", 0))
