@@ -5,7 +5,7 @@ from __future__ import annotations
 import math
 import re
 from collections import Counter
-from collections.abc import Callable, Iterator
+from collections.abc import Callable, Iterable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -177,22 +177,28 @@ class InsultKernelSVM:
             for w, row, near in zip(own, k, k.max(1) > LIVE, strict=True):
                 self.memo[w] = row.copy() if near else None
 
-    def pooled(self, words: set[str]) -> np.ndarray | None:
+    def pooled(self, words: Iterable[str]) -> np.ndarray | None:
         """A sentence's kernels with the landmarks, if any of its words is near one."""
         rows = [k for w in words if (k := self.memo[w]) is not None]
         return None if not rows else rows[0] if len(rows) == 1 else np.max(rows, 0)
 
     def fit(self, x: np.ndarray, y: np.ndarray, weight: np.ndarray, rounds: int = 30) -> None:
         """Squared hinge loss by Newton steps on the rows inside the margin; y is +1 or -1."""
-        x = np.concatenate([x @ self.project, np.ones((len(x), 1))], 1)
-        keep = np.eye(x.shape[1])
+        z = np.ones((len(x), x.shape[1] + 1), np.float32)
+        z[:, :-1] = x @ self.project.astype(np.float32)
+        keep = np.eye(z.shape[1])
         keep[-1, -1] = 1e-6
-        w, near = np.zeros(x.shape[1]), np.ones(len(x), bool)
+        w, near = np.zeros(z.shape[1]), np.ones(len(z), bool)
         for _ in range(rounds):
-            v, k = x[near], weight[near]
-            new = np.linalg.solve(keep + 2 * (v * k[:, None]).T @ v, 2 * v.T @ (k * y[near]))
+            left, right = keep.copy(), np.zeros(len(w))
+            for lo in range(0, len(z), 4096):  # some rows at a time, so that the driver holds no copies
+                own = lo + np.flatnonzero(near[lo : lo + 4096])
+                v, k = z[own].astype(np.float64), weight[own]
+                left += 2 * (v * k[:, None]).T @ v
+                right += 2 * v.T @ (k * y[own])
+            new = np.linalg.solve(left, right)
             w = w + 0.8 * (new - w) if w.any() else new
-            again = y * (x @ w) < 1
+            again = y * (z @ w.astype(np.float32)) < 1
             if (again == near).all():
                 break
             near = again
@@ -228,7 +234,7 @@ def _bent(word: str, r: np.random.Generator) -> list[str]:
     return [word[:i] + word[i - 1] + word[i:], word[:j] + "x1y0z3q"[r.integers(7)] + word[j:], word[:k] + word[k + 1 :]] if len(word) > 4 else []
 
 
-def _landmarks(sets: list[set[str]], y: np.ndarray) -> tuple[list[str], list[str]]:
+def _landmarks(sets: list[tuple[str, ...]], y: np.ndarray) -> tuple[list[str], list[str]]:
     """Words of toxic texts and the words of clean texts that come near them."""
     pos, neg = Counter(), Counter()
     for s, v in zip(sets, y, strict=True):
@@ -251,7 +257,7 @@ def _landmarks(sets: list[set[str]], y: np.ndarray) -> tuple[list[str], list[str
     return pick, close[: LANDMARKS - len(pick)]
 
 
-def _machine(sets: list[set[str]], parts: list[list[set[str]]], y: np.ndarray, seed: int) -> InsultKernelSVM | None:
+def _machine(sets: list[tuple[str, ...]], parts: list[list[tuple[str, ...]]], y: np.ndarray, seed: int) -> InsultKernelSVM | None:
     """The machine of labelled texts, given as their words and as their sentences' words; none if toxic texts have no words."""
     insults, confusers = _landmarks(sets, y)
     if not insults:
@@ -293,7 +299,9 @@ def train(texts: list[str], y: np.ndarray, seed: int = 5) -> InsultKernelSVM | N
     """
     if len(set(y.tolist())) < 2:
         return None
-    sets, parts = [words_in(t) for t in texts], [[words_in(x) for x in sentences(t)] for t in texts]
+    own: dict[str, str] = {}
+    shared = lambda words: tuple([own.setdefault(w, w) for w in sorted(words)])  # noqa: E731  one string for each word, however often
+    sets, parts = [shared(words_in(t)) for t in texts], [[shared(words_in(x)) for x in sentences(t)] for t in texts]
     svm = _machine(sets, parts, y, seed)
     if svm is None:
         return None
@@ -301,8 +309,8 @@ def train(texts: list[str], y: np.ndarray, seed: int = 5) -> InsultKernelSVM | N
     for v in (0, 1):
         half[y == v] = np.arange((y == v).sum()) % 2
     for side in (0, 1):
-        own, other = np.flatnonzero(half == side), np.flatnonzero(half != side)
-        judge = _machine([sets[i] for i in own], [parts[i] for i in own], y[own], seed) if len(set(y[own].tolist())) == 2 else None
+        some, other = np.flatnonzero(half == side), np.flatnonzero(half != side)
+        judge = _machine([sets[i] for i in some], [parts[i] for i in some], y[some], seed) if len(set(y[some].tolist())) == 2 else None
         z[other] = (judge or svm).margins([texts[i] for i in other])
     n1, n0 = int(t.sum()), int((1 - t).sum())
     t = np.where(t == 1, (n1 + 1) / (n1 + 2), 1 / (n0 + 2))  # smoothed targets
