@@ -98,12 +98,12 @@ def extrapolate(prevalences: DataFrame, population: float) -> DataFrame:
     return prevalences.select((F.lit(population) * F.col("x_any") / F.nullif(F.col("n"), F.lit(0))).alias("documents"))
 
 
-def confusion(flags: DataFrame, pred: str, truth: str) -> DataFrame:
-    """Counts, precision, recall and F of a flag against planted truth, over every row."""
+def confusion(flags: DataFrame, pred: str, truth: str, by: str | None = None) -> DataFrame:
+    """Counts, precision, recall and F of a flag against planted truth, over every row, or per ``by``."""
     p, t = F.col(pred), F.col(truth)
-    g = flags.agg(F.count_if(p & t).alias("tp"), F.count_if(p & ~t).alias("fp"), F.count_if(~p & t).alias("fn"), F.count_if(~p & ~t).alias("tn"))
+    g = (flags.groupBy(by) if by else flags).agg(F.count_if(p & t).alias("tp"), F.count_if(p & ~t).alias("fp"), F.count_if(~p & t).alias("fn"), F.count_if(~p & ~t).alias("tn"))
     tp = F.col("tp")
-    return g.select("tp", "fp", "fn", "tn", F.round(tp / F.nullif(tp + F.col("fp"), F.lit(0)), 6).alias("precision"), F.round(tp / F.nullif(tp + F.col("fn"), F.lit(0)), 6).alias("recall"), F.round(2.0 * tp / F.nullif(2 * tp + F.col("fp") + F.col("fn"), F.lit(0)), 6).alias("f1"))
+    return g.select(*([by] if by else []), "tp", "fp", "fn", "tn", F.round(tp / F.nullif(tp + F.col("fp"), F.lit(0)), 6).alias("precision"), F.round(tp / F.nullif(tp + F.col("fn"), F.lit(0)), 6).alias("recall"), F.round(2.0 * tp / F.nullif(2 * tp + F.col("fp") + F.col("fn"), F.lit(0)), 6).alias("f1"))
 
 
 def coord_sources(df: DataFrame, text_col: str) -> DataFrame:
@@ -219,9 +219,15 @@ def triage(responses: DataFrame) -> DataFrame:
     return responses.withColumn("outcome", F.when(F.col("status") != "ok", "failed").when(short, "negative").otherwise("to_review"))
 
 
+def apply_definition(d: DataFrame, text_col: str) -> DataFrame:
+    """``c`` and ``a``: whether what a text names counts by the definition.  Origin pairs, celestial pairs, addresses of machines,
+    telephone numbers and bare landmarks don't."""
+    return d.withColumns({"c": has_coords(F.col(text_col)), "a": has_address(F.col(text_col))})
+
+
 def categorise(responses: DataFrame) -> DataFrame:
-    """Category of each reviewed response, from detection over its own text; out-of-definition hits drop out."""
-    d = responses.where("outcome = 'to_review'").withColumns({"c": has_coords(F.col("text")), "a": has_address(F.col("text"))})
+    """Category of each reviewed response, from the definition applied to its own text; other hits are discarded."""
+    d = apply_definition(responses.where("outcome = 'to_review'"), "text")
     return d.withColumn("category", F.when(F.col("c") & F.col("a"), "both").when(F.col("c"), "coords").when(F.col("a"), "address").otherwise("discarded"))
 
 
@@ -339,12 +345,47 @@ def keyword_lookup(text: Column, words: tuple[str, ...] = KEYWORDS) -> Column:
     return functools.reduce(lambda a, b: a | b, [F.contains(low, F.lit(w)) for w in words])
 
 
-def tag_pattern(text: Column) -> Column:
-    """Sequence labelling in miniature: tokens become classes, and a pattern over the classes finds addresses."""
+def token_classes(text: Column) -> Column:
+    """An array of letters, one per token: N number, S street word, C capitalised word, o any other."""
     tokens = F.regexp_extract_all(text, F.lit(r"[A-Za-zÀ-ÿ]+|[0-9]+|[^A-Za-zÀ-ÿ0-9 \t\r\n]"), F.lit(0))
     street = r"^(?:Street|St|Road|Rd|Avenue|Ave|Lane|Drive|Close|Square|rue|Calle)$"
     label = F.transform(tokens, lambda w: F.when(w.rlike("^[0-9]{1,5}$"), "N").when(w.rlike(street), "S").when(w.rlike("^[A-Z]"), "C").otherwise("o"))
-    return F.array_join(label, "").rlike("NC{1,3}S|NSo?C|SoC?N|SC{1,2}N")
+    return label
+
+
+def mined_patterns(planted: DataFrame, id_col: str, text_col: str, support: int = 5, precision: float = 0.8) -> DataFrame:
+    """``pattern, n, x``: runs of three to five token classes that tell addresses on the training half of the ids.
+
+    ``x`` of the ``n`` training documents with the run have an address; a run needs ``support`` of them and that precision.
+    """
+    train = _tagged(planted, id_col, text_col).where("train").select("truth_addr", F.explode("runs").alias("pattern"))
+    return train.groupBy("pattern").agg(F.count("*").alias("n"), F.count_if("truth_addr").alias("x")).where((F.col("x") >= support) & (F.col("x") >= precision * F.col("n")))
+
+
+def _tagged(planted: DataFrame, id_col: str, text_col: str) -> DataFrame:
+    d = planted.select(F.col(id_col).alias("__id"), F.coalesce("truth_addr", F.lit(False)).alias("truth_addr"), (bucket("mine", id_col) < 500).alias("train"), F.explode(F.array(token_classes(F.coalesce(F.col(text_col), F.lit(""))))).alias("c1"))  # one row each; later steps read it and don't compute it again
+    longer = lambda a, k: F.zip_with(a, F.slice("c1", F.lit(k), F.greatest(F.size("c1") - (k - 1), F.lit(0))), lambda x, y: F.concat(x, y))  # noqa: E731  null past the end
+    d = d.withColumn("c2", longer("c1", 2)).withColumn("c3", longer("c2", 3)).withColumn("c4", longer("c3", 4)).withColumn("c5", longer("c4", 5))
+    runs = F.array_distinct(F.filter(F.concat("c3", "c4", "c5"), lambda x: F.coalesce(F.contains(x, F.lit("N")) & F.contains(x, F.lit("S")), F.lit(False))))
+    return d.select("__id", "truth_addr", "train", runs.alias("runs"))
+
+
+def sequence_labels(planted: DataFrame, id_col: str, text_col: str) -> DataFrame:
+    """Sequence labels and mined patterns: the confusion on the half of the ids that nothing was mined from."""
+    test = _tagged(planted, id_col, text_col).where("not train")
+    hit = test.select("__id", F.explode("runs").alias("pattern")).join(mined_patterns(planted, id_col, text_col).select("pattern"), "pattern", "left_semi").select("__id").distinct()
+    return confusion(test.join(hit.withColumn("hit", F.lit(True)), "__id", "left").select(F.coalesce("hit", F.lit(False)).alias("pred"), "truth_addr"), "pred", "truth_addr")
+
+
+def entity_addresses(docs: DataFrame, tagger: Callable[[list[str]], list[list[tuple[int, int, str]]]], id_col: str, text_col: str, labels: tuple[str, ...] = ("ADDRESS",)) -> DataFrame:
+    """``id, has_addr, spans`` from any entity recogniser: a function from texts to (start, end, label) triples.  None is shipped."""
+
+    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for b in batches:
+            found = [[f"{x}:{y}" for x, y, k in spans if k in labels] for spans in tagger(b["t"].tolist())]
+            yield pd.DataFrame({"id": b["id"], "has_addr": [bool(x) for x in found], "spans": found})
+
+    return docs.select(F.col(id_col).cast("string").alias("id"), F.coalesce(F.col(text_col), F.lit("")).alias("t")).mapInPandas(run, "id string, has_addr boolean, spans array<string>")
 
 
 def svm_windows(planted: DataFrame, id_col: str, text_col: str, size: int = 400, overlap: int = 60) -> DataFrame:

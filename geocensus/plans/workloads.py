@@ -250,7 +250,15 @@ def _baselines() -> None:
         x = "regexp_replace(text, '<[^>]{0,1000}>', ' ', 'g')" if strip else "text"
         sql = pr("p0", "truth_addr").replace("from pd))", f"from (select truth_addr, ({places}) and {_addr_sql('x')} as p0 from (select truth_addr, {x} as x from pd))))")
         _add(name, run(lambda t, strip=strip: Y.gazetteer_address(t, strip=strip), "truth_addr"), sql)
-    _add("baseline_tag_pattern", run(Y.tag_pattern, "truth_addr"))
+    street = "^(?:Street|St|Road|Rd|Avenue|Ave|Lane|Drive|Close|Square|rue|Calle)$"
+    label = f"array_to_string(list_transform(regexp_extract_all(coalesce(text, ''), '[A-Za-zÀ-ÿ]+|[0-9]+|[^A-Za-zÀ-ÿ0-9 \\t\\r\\n]'), lambda w: case when regexp_matches(w, '^[0-9]{{1,5}}$') then 'N' when regexp_matches(w, '{street}') then 'S' when regexp_matches(w, '^[A-Z]') then 'C' else 'o' end), '')"
+    runs = "list_distinct(list_filter(flatten([[substr(c, i, n) for i in range(1, length(c) - n + 2)] for n in [3, 4, 5]]), lambda x: contains(x, 'N') and contains(x, 'S')))"
+    tagged = f"{PD}, c0 as (select doc_id, truth_addr, {_bucket_sql('mine')} < 500 as train, {label} as c from pd), c1 as (select doc_id, truth_addr, train, unnest({runs}) as pattern from c0), mined as (select pattern, count(*) as n, count(*) filter (truth_addr) as x from c1 where train group by 1 having count(*) filter (truth_addr) >= 5 and count(*) filter (truth_addr) >= 0.8 * count(*))"
+    _add("mined_patterns", lambda s, d: Y.mined_patterns(planted_docs(s, d), "doc_id", "text"), f"with {tagged} select pattern, n, x from mined")
+    found = f"with {tagged}, h as (select distinct doc_id from c1 join mined using (pattern)), g as (select count(*) filter (p and t) as tp, count(*) filter (p and not t) as fp, count(*) filter (not p and t) as fn, count(*) filter (not p and not t) as tn from (select h.doc_id is not null as p, truth_addr as t from c0 left join h using (doc_id) where not train)) select tp, fp, fn, tn, round(tp / nullif(tp + fp, 0), 6) as precision, round(tp / nullif(tp + fn, 0), 6) as recall, round(2.0::double * tp / nullif(2 * tp + fp + fn, 0), 6) as f1 from g"
+    _add("baseline_sequence_labels", lambda s, d: Y.sequence_labels(planted_docs(s, d), "doc_id", "text"), found)
+    by_lang = f"with {FLAGS}, g as (select lang, count(*) filter (p and t) as tp, count(*) filter (p and not t) as fp, count(*) filter (not p and t) as fn, count(*) filter (not p and not t) as tn from (select lang, has_addr as p, truth_addr as t from f) group by 1) select lang, tp, fp, fn, tn, round(tp / nullif(tp + fp, 0), 6) as precision, round(tp / nullif(tp + fn, 0), 6) as recall, round(2.0::double * tp / nullif(2 * tp + fp + fn, 0), 6) as f1 from g"
+    _add("confusion_by_lang", lambda s, d: Y.confusion(doc_flags(s, d), "has_addr", "truth_addr", "lang"), by_lang)
     _add("baseline_svm_windows", lambda s, d: Y.svm_windows(planted_docs(s, d), "doc_id", "text"))
     needles = tuple(x for _, x in COORD_SNIPPETS)
     put = f"(select doc_id, t, d, [{', '.join(quoted(x) for x in needles)}][(('0x' || substr(md5('needle|' || doc_id), 1, 8))::bigint % {len(needles)})::int + 1] as needle from (select doc_id, coalesce(text, '') as t, [0, 25, 50, 75, 100][(('0x' || substr(md5('depth|' || doc_id), 1, 8))::bigint % 5)::int + 1] as d from documents))"

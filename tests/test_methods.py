@@ -204,3 +204,12 @@ def test_intervals_cover_the_known_share(spark):
     d = I.table(spark, "/root/testdata/sf0.01", "documents").select("source", "doc_id", (F.col("lang") == "en").alias("hit"))
     r = S.interval_coverage(d, "source", "doc_id", "hit", 10, 60).first()
     assert r["seeds"] == 60 and r["covered"] >= r["covered_fpc"] >= 0.85 * 60 and r["covered_stratified"] >= 0.85 * 60 and r["mean_margin_fpc"] < r["mean_margin"]
+
+
+def test_any_entity_recogniser(spark):
+    def tagger(texts):  # noqa: ANN001, ANN202
+        return [[(m.start(), m.end(), "ADDRESS") for m in re.finditer("[0-9]+ Road", t)] + [(0, 1, "OTHER")] for t in texts]
+
+    d = spark.createDataFrame([(1, "at 5 Road"), (2, "none"), (3, None)], "doc_id long, t string")
+    got = {r["id"]: (r["has_addr"], r["spans"]) for r in Y.entity_addresses(d, tagger, "doc_id", "t").collect()}
+    assert got == {"1": (True, ["3:9"]), "2": (False, []), "3": (False, [])}
