@@ -10,27 +10,28 @@ from geocensus.llm.shared import materialise
 
 
 def reject_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents that the toxicity machine rejects go; it is fitted on the labelled rows of this stage's input."""
+    """Documents that the toxicity machine rejects go; it is fitted on the labelled rows of this stage's input.  Null and empty texts stay,
+    and without labels of both classes every row does."""
     return toxicity.drop_toxic(docs, read(spark, sf_dir, "labels"))
 
 
 def exact_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each group of equal texts stays."""
+    """One document of each group of equal texts stays; null counts as empty, so one of the empty texts does."""
     return exact_dedup.drop_exact_duplicates(docs)
 
 
 def near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each class of near copies stays."""
+    """One document of each class of near copies stays; texts without words are classes of their own."""
     return near_dup.drop_near_duplicates(docs)
 
 
 def mixed(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents as often as the mix of sources takes them."""
+    """Documents as often as the mix of sources takes them; texts without words are never taken, a null source is one of its own."""
     return mixing.mix_table(docs)
 
 
 def encoded(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Token counts and digests of ids and decoded text of every document, repeats included."""
+    """Token counts and digests of ids and decoded text of every document, repeats included; null counts as empty and has no ids."""
     return piece_codec.encode_digest(docs, model_path())
 
 
