@@ -2,13 +2,17 @@
 
 from __future__ import annotations
 
+from collections.abc import Callable
+
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from geocensus.functions.columns import has_address, has_coords
 from geocensus.operators import sampling as S
 from geocensus.operators import study as Y
 from geocensus.sources.index import fetch_by_scan, stored
 
+Detector = Callable[[Column], Column]
 # A few of the commonest words of the four languages of the tables.
 STOP_WORDS = {"en": "the|of|and|to|in|is|that|was", "de": "der|die|und|den|das|ist|nicht|mit", "fr": "le|et|les|des|un|est|pour|dans", "es": "que|el|los|y|del|las|por|con"}
 
@@ -20,15 +24,15 @@ def census(index: DataFrame) -> DataFrame:
     return long.join(F.broadcast(n), "release", "left").select("mime", "release", "files", F.round(100.0 * F.col("files") / F.col("all"), 4).alias("pct_of_release"))  # one row per release
 
 
-def estimate(frame: DataFrame, docs: DataFrame, id_col: str, text_col: str, k: int, strata: list[str], seed: str, by: str) -> DataFrame:
-    """Prevalence in a stratified sample: ids from the narrow frame, bodies of those only."""
+def estimate(frame: DataFrame, docs: DataFrame, id_col: str, text_col: str, k: int, strata: list[str], seed: str, by: str, detector: tuple[Detector, Detector] = (has_coords, has_address), z: float = 1.96) -> DataFrame:
+    """Prevalence in a stratified sample: ids from the narrow frame, bodies of those only.  ``detector`` tells coordinates and addresses."""
     ids = S.stratified_sample(frame.select(id_col, *strata), strata, k, seed, [id_col])
-    return Y.prevalence(Y.doc_flags(fetch_by_scan(docs, ids, id_col), text_col, [id_col, by]), by)
+    return Y.prevalence(Y.doc_flags(fetch_by_scan(docs, ids, id_col), text_col, [id_col, by], *detector), by, z)
 
 
-def full_scan(docs: DataFrame, text_col: str, keep: list[str], by: str) -> DataFrame:
+def full_scan(docs: DataFrame, text_col: str, keep: list[str], by: str, detector: tuple[Detector, Detector] = (has_coords, has_address), z: float = 1.96) -> DataFrame:
     """No sample: every document, by rules only."""
-    return Y.prevalence(Y.doc_flags(docs, text_col, keep), by)
+    return Y.prevalence(Y.doc_flags(docs, text_col, keep, *detector), by, z)
 
 
 def judge_study(planted: DataFrame, id_col: str, text_col: str) -> dict[str, DataFrame]:

@@ -394,10 +394,12 @@ def svm_windows(planted: DataFrame, id_col: str, text_col: str, size: int = 400,
     from pyspark.ml.feature import HashingTF, NGram
 
     from geocensus.functions.columns import windows
+    from geocensus.sources.index import stored
 
     w = planted.select(id_col, "truth_addr", "truth_snippet", F.explode(windows(F.col(text_col), size, overlap)).alias("x"))
     shape = F.regexp_replace(F.regexp_replace("x.text", "[0-9]", "9"), "[a-z]{4,}", "w")
     w = w.select(id_col, "truth_addr", (F.col("truth_addr") & F.contains(F.col("x.text"), F.substring("truth_snippet", 1, 12))).cast("double").alias("label"), F.split(shape, r"[ \t\r\n]+").alias("tokens"), (bucket("svm", id_col) < 500).alias("train"))
+    w = stored(w, "svm-windows")  # fit and transform read the windows; planting and cutting run once
     w = NGram(n=2, inputCol="tokens", outputCol="pairs").transform(w)
     w = HashingTF(inputCol="pairs", outputCol="features", numFeatures=4096).transform(w).withColumn("weight", F.when(F.col("label") == 1, 20.0).otherwise(1.0))
     model = LinearSVC(maxIter=15, regParam=0.001, weightCol="weight").fit(w.where("train"))
