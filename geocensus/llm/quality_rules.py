@@ -98,3 +98,29 @@ def judge(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col:
     for r in RULES:
         bad = bad | F.coalesce(_value(r) > F.col(r), F.lit(False))
     return out.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", failed.alias("base_failed"), (~failed & ~bad).alias("kept"), "stratum")
+
+
+def _sql() -> str:
+    """The query in SQL: counts on words themselves, tails by gamma functions."""
+    tried = ", ".join(f"('{r}', {i}, {c}::double)" for r, cs in RULES.items() for i, c in enumerate(cs))
+    return rf"""
+with b as (select doc_id, coalesce(lang, '') as stratum, coalesce(text, '') as t, regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+') as w from documents),
+g as (select doc_id, i, array_to_string(w[i:i + 4], ' ') as g from (select doc_id, w, unnest(range(1, len(w) - 3)) as i from b where len(w) >= 5)),
+r as (select doc_id, i from (select *, count(*) over (partition by doc_id, g) as c from g) where c > 1),
+c as (select doc_id, count(distinct i + k) as n from r, (select unnest(range(0, 5)) as k) group by 1),
+l as (select doc_id, list_filter(string_split(t, chr(10)), lambda x: regexp_matches(x, '[^\x20\x09-\x0D]')) as lines from b),
+f as (select b.doc_id, stratum, len(w) as n_words, length(array_to_string(w, '')) as word_chars, len(regexp_extract_all(t, '[#*$%&|<>]')) as n_symbols, length(t) - length(replace(t, '!', '')) as n_marks, len(lines) as n_lines, len(lines) - len(list_distinct(lines)) as n_dup_lines, coalesce(c.n, 0) as n_repeat_words
+      from b join l using (doc_id) left join c using (doc_id)),
+v as (select f.doc_id, stratum, rule, step, cutoff, coalesce(case rule when 'symbols_per_word' then n_symbols / nullif(n_words, 0) when 'marks_per_word' then n_marks / nullif(n_words, 0) when 'dup_line_share' then n_dup_lines / nullif(n_lines, 0) when 'repeat_share' then n_repeat_words / nullif(n_words, 0) else word_chars / nullif(n_words, 0) end, 0) as value
+      from f, (values {tried}) x(rule, step, cutoff)),
+k as (select stratum, rule, step, cutoff, count(*) as n, count(*) filter (value > cutoff) as k from v where doc_id in (select doc_id from labels where quality = 1) group by all),
+p as (select *, case when k <= n * 0.01::double then list_sum([exp(lgamma(n + 1) - lgamma(i + 1) - lgamma(n - i + 1) + i * ln(0.01::double) + (n - i) * ln(0.99::double)) for i in range(0, k + 1)]) else 1 end as p, (select count(distinct stratum) from k) as strata from k),
+a as (select *, min((p <= 0.05::double / (strata * {len(RULES)}))::int) over (partition by stratum, rule order by step) as passed from p),
+cut as (select stratum, rule, min(cutoff) as cutoff from a where passed = 1 group by 1, 2),
+bad as (select distinct doc_id from v join cut using (stratum, rule) where value > cut.cutoff)
+select doc_id, n_words::bigint as n_words, word_chars::bigint as word_chars, n_symbols::bigint as n_symbols, n_dup_lines::bigint as n_dup_lines, n_repeat_words::bigint as n_repeat_words, n_words < 10 or 100 * n_repeat_words > 20 * n_words as base_failed,
+  not (n_words < 10 or 100 * n_repeat_words > 20 * n_words) and doc_id not in (select doc_id from bad) as kept, stratum from f
+"""
+
+
+SQL = _sql()

@@ -72,4 +72,4 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op3_exact_dedup": exact_dedup.SQL, "op4_substring_dedup": repeats.SQL, "op6_mixing": mixing.SQL}
+    return {"op3_exact_dedup": exact_dedup.SQL, "op4_substring_dedup": repeats.SQL, "op6_mixing": mixing.SQL, "op7_quality_rules": quality_rules.SQL}

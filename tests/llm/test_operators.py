@@ -40,7 +40,7 @@ def test_awkward_and_empty_tables(spark, name):
     assert run(none).collect() == []
 
 
-@pytest.mark.parametrize("module, run", [(exact_dedup, exact_dedup.exact_duplicates), (mixing, mixing.mix), (repeats, repeats.remove_repeats_digest)])
+@pytest.mark.parametrize("module, run", [(exact_dedup, exact_dedup.exact_duplicates), (mixing, mixing.mix), (repeats, repeats.remove_repeats_digest), (quality_rules, lambda d: quality_rules.judge(d, read(d.sparkSession, "/root/testdata/sf0.001", "labels")))])
 def test_sql(spark, duck, sf, module, run):
     from compare import same
 
