@@ -332,6 +332,13 @@ def test_toxicity_held_out():
     m = toxicity.train([t for t, _ in train if len(t) < 12_000], np.array([y for t, y in train if len(t) < 12_000], np.float32))
     p, y = m.score([t for t, _ in test]), np.array([y for _, y in test])
     assert ((p >= 0.5) & (y == 0)).sum() <= 3 and ((p >= 0.5) & (y == 1)).sum() >= 0.8 * y.sum()
+    # One insult in a clean sentence, as written, with marks or blanks between its letters, and with one character too many.
+    r, words = random.Random(1), ["idiot", "stupid", "moron", "pathetic", "worthless"]
+    found = lambda f: (m.score([f"There was a plain remark. The {f(w)} said so." for w in words for _ in range(20)]) >= 0.5).mean()
+    cut = lambda w: r.randrange(1, len(w))
+    assert found(lambda w: w) == found("-".join) == found(" ".join) == 1.0
+    assert found(lambda w: (lambda i: w[:i] + w[i - 1] + w[i:])(cut(w))) >= 0.9
+    assert found(lambda w: (lambda i: w[:i] + r.choice("abcdxyz019") + w[i:])(cut(w))) >= 0.4
 
 
 def test_rows_that_share_ids_or_names(spark):
