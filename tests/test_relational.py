@@ -41,3 +41,8 @@ def test_nearest_in_a_crowd(spark, monkeypatch):
             want[int(doc[k])] = int(doc[near][sq == sq.min()].min())
     assert got == want and len(want) < len(rows)
     assert sum(joined(x) for x in [*ran, df]) < 100 * len(rows)
+
+
+def test_salted_copies_are_not_broadcast(spark, sf):
+    plan = relational._salted(spark, sf)._jdf.queryExecution().toString()
+    assert "SortMergeJoin" in plan and "BroadcastHashJoin" not in plan
