@@ -46,3 +46,20 @@ def test_nearest_in_a_crowd(spark, monkeypatch):
 def test_salted_copies_are_not_broadcast(spark, sf):
     plan = relational._salted(spark, sf)._jdf.queryExecution().toString()
     assert "SortMergeJoin" in plan and "BroadcastHashJoin" not in plan
+
+
+def test_band_compares_within_buckets(spark):
+    top = 2.0**53
+    prices = [k / 10 for k in range(1000)] + [-7.5, -5.0, -2.5, -0.0, 999.9, 1004.9, 1004.8999999999999, top - 5, top - 1, top, float("inf"), float("nan"), None]
+    part = spark.createDataFrame([(k, k % 2 if k < 1000 else 0, p) for k, p in enumerate(prices)] + [(-1, None, 1.0)], "p_partkey long, p_size int, p_retailprice double")
+    df = relational._band(part, 5)
+    got = [tuple(r) for r in df.collect()]
+    rows = [tuple(r) for r in part.collect() if r["p_size"] is not None and r["p_retailprice"] is not None]
+    assert sorted(got) == sorted((a, b) for a, x, p in rows for b, y, q in rows if x == y and p < q < p + 5)
+    part.createOrReplaceTempView("part")
+    sql = spark.sql(relational.oracle_sql()["join_theta"])
+    assert sorted(map(tuple, sql.collect())) == sorted(got)
+
+
+def test_band_plan(spark, sf):
+    assert "bucket" in relational.queries()["join_theta"](spark, sf)._jdf.queryExecution().toString()
