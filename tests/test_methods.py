@@ -223,3 +223,12 @@ def test_audit_bounds_of_documents(spark, sf, tmp_path):
     spark.createDataFrame(rows, "doc_id long, source string").write.parquet(f"{tmp_path}/documents.parquet")
     got = {(r["source"], r["sides"]): (r["n"], r["bound"]) for r in workload_queries()["audit_bounds"](spark, str(tmp_path)).collect()}
     assert got == {(k, sides): (n, round(S.zero_error_bound(n, sides=sides), 6)) for k, n in (("a", 100), ("b", 7), (None, 1)) for sides in (1, 2)}
+
+
+def test_cost_of_documents(spark, sf):
+    assert [f for f in workload_queries()["cost_model"](spark, sf).inputFiles() if "documents" in f]
+    texts = [None, "", "a", "b" * 8_000, "c" * 8_001, "d" * 15_800, "\U0001f600" * 15_801]  # 1, 1, 1, 1, 2, 2 and 3 windows
+    docs = spark.createDataFrame([(t,) for t in texts], "t string")
+    got = [tuple(r) for r in Y.cost_model(docs, "t", per_day=(5,)).collect()]
+    assert got == [(mode, n, 5, n / 5, round(n * 30 / 8 / 86_400, 4)) for mode, n in (("combined", 11), ("separate", 22))]
+    assert [r["queries"] for r in Y.cost_model(docs.limit(0), "t").collect()] == [0] * 4
