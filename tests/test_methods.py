@@ -232,3 +232,12 @@ def test_cost_of_documents(spark, sf):
     got = [tuple(r) for r in Y.cost_model(docs, "t", per_day=(5,)).collect()]
     assert got == [(mode, n, 5, n / 5, round(n * 30 / 8 / 86_400, 4)) for mode, n in (("combined", 11), ("separate", 22))]
     assert [r["queries"] for r in Y.cost_model(docs.limit(0), "t").collect()] == [0] * 4
+
+
+def test_sample_sizes_of_lineitem(spark, sf):
+    assert [f for f in workload_queries()["sample_sizes"](spark, sf).inputFiles() if "lineitem" in f]
+    rows = spark.range(60_000).selectExpr("1 as s", "id % 300 as p").unionAll(spark.range(7).selectExpr("2 as s", "if(id = 0, null, 0) as p")).unionAll(spark.range(1).selectExpr("null", "0"))
+    for e in (0.005, 0.03):
+        n = S.sample_size(e)
+        got = {r["s"]: tuple(r)[1:] for r in S.sample_sizes(rows, "s", "p", e, 1_484).collect()}
+        assert got == {s: (size, parts, n, S.sample_size(e, z=1.959964), S.sample_size(e, population=size), S.allocate(n, parts, 1_484)) for s, size, parts in ((1, 60_000, 300), (2, 7, 2), (None, 1, 1))}
