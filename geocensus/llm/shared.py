@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import contextlib
+import ctypes
 import gc
 import os
 import tempfile
@@ -11,6 +13,7 @@ from collections.abc import Callable, Iterable, Iterator
 import numpy as np
 import pandas as pd
 import pyarrow as pa
+from py4j.protocol import Py4JError
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
@@ -34,18 +37,32 @@ def materialise(df: DataFrame, label: str) -> DataFrame:
     """Write ``df`` as Parquet to the shared folder and read it again: cuts lineage, and survives a lost executor."""
     spark = df.sparkSession
     path = f"{shared_dir(spark).rstrip('/')}/{label}-{uuid.uuid4().hex}"
-    _collect(spark)
+    collect_garbage(spark)
     df.write.option("compression", "zstd").parquet(path)
-    _collect(spark)
+    collect_garbage(spark)
     out = spark.read.schema(df.schema).parquet(path)
     out.written_at = path
     return out
 
 
-def _collect(spark: SparkSession) -> None:
-    """Collects plans that nothing uses any more, on both sides; Spark then removes their shuffle files."""
+def collect_garbage(spark: SparkSession) -> None:
+    """Collects plans that nothing uses any more, on both sides; Spark then removes their shuffle files.  What the driver's processes
+    have freed goes back to the system."""
     gc.collect()
     spark.sparkContext._jvm.System.gc()
+    with contextlib.suppress(OSError, AttributeError):  # other C libraries have no such call
+        ctypes.CDLL(None).malloc_trim(0)
+    with contextlib.suppress(Py4JError):  # nor have other virtual machines
+        _trim(spark)
+
+
+def _trim(spark: SparkSession) -> str:
+    """Gives back what the driver's virtual machine has freed outside its heap, by its diagnostic command; what that says."""
+    jvm = spark.sparkContext._jvm
+    call = next(m for m in jvm.java.lang.Class.forName("javax.management.MBeanServer").getMethods() if m.getName() == "invoke")
+    args = spark.sparkContext._gateway.new_array(jvm.java.lang.Object, 4)
+    args[0], args[1] = jvm.javax.management.ObjectName("com.sun.management:type=DiagnosticCommand"), "systemTrimNativeHeap"
+    return call.invoke(jvm.java.lang.management.ManagementFactory.getPlatformMBeanServer(), args)
 
 
 def release(*frames: DataFrame) -> None:
@@ -182,29 +199,34 @@ class Forest:
 def connected_components(edges: DataFrame, label: str, rounds: int = 60) -> DataFrame:
     """``edges``(a, b: long) to (id, root): root is the smallest id of the component.
 
-    Alternates large-star and small-star steps, each a partial aggregate and a join, until no edge changes; every round
-    is a written table.  A hub's neighbours are never gathered in one task: only their minimum is.
+    Alternates large-star and small-star steps, each a partial aggregate and a join, until only stars are left; every round
+    is a written table.  A hub's neighbours are never gathered in one task: only their minimum is.  No join is broadcast: the
+    driver would hold a table of every round.
     """
     e = materialise(edges.where("a <> b").select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct(), label)
     for _ in range(rounds):
+        if _are_stars(e):
+            break
         both = e.select("a", "b").unionByName(e.select(F.col("b").alias("a"), F.col("a").alias("b")))
         low = both.groupBy("a").agg(F.min("b").alias("m")).select("a", F.least("a", "m").alias("m"))
-        large = both.join(low, "a").where("b > a").select(F.col("b").alias("a"), F.col("m").alias("b"))
+        large = both.join(low.hint("merge"), "a").where("b > a").select(F.col("b").alias("a"), F.col("m").alias("b"))
         large = large.unionByName(low.where("m < a").select("a", F.col("m").alias("b"))).distinct()
         least = large.groupBy("a").agg(F.min("b").alias("m"))
-        small = large.join(least, "a").select(F.col("b").alias("x"), "m", "a")
+        small = large.join(least.hint("merge"), "a").select(F.col("b").alias("x"), "m", "a")
         out = small.select(F.col("x").alias("a"), F.col("m").alias("b")).unionByName(small.select("a", F.col("m").alias("b"))).where("a <> b").distinct()
-        out = materialise(out, label)
-        changed = out.join(e, ["a", "b"], "left_anti").limit(1).count() or e.join(out, ["a", "b"], "left_anti").limit(1).count()
-        e = out
-        if not changed:
-            break
+        e = materialise(out, label)
     else:
         raise RuntimeError("components did not settle")
     found = e.groupBy("a").agg(F.min("b").alias("root")).select(F.col("a").alias("id"), "root")
     return found.unionByName(found.select(F.col("root").alias("id"), "root").distinct())
 
 
+def _are_stars(e: DataFrame) -> bool:
+    """Whether each end of the distinct ``e``(a > b) is either a root or has one edge to a root, which then is the smallest of its component."""
+    ends = e.select("a", F.lit(1).alias("up"), F.lit(0).alias("down")).unionByName(e.select(F.col("b").alias("a"), F.lit(0).alias("up"), F.lit(1).alias("down")))
+    return ends.groupBy("a").agg(F.sum("up").alias("up"), F.max("down").alias("down")).where("up + down > 1").isEmpty()
+
+
 def small_enough(df: DataFrame, rows: int) -> bool:
     """Whether ``df`` has at most ``rows`` rows: the check before a broadcast."""
     return df.limit(rows + 1).count() <= rows

@@ -13,7 +13,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from geocensus.llm.byte_convnet import held_out, training_rows
-from geocensus.llm.shared import map_texts
+from geocensus.llm.shared import collect_garbage, map_texts
 
 #: Subsequences of SHORTEST to ORDER characters; each step inside one, matched or skipped, costs DECAY.
 #: Subsequences that reach over more than SPAN characters count as none.
@@ -352,7 +352,11 @@ def score(docs: DataFrame, svm: InsultKernelSVM | None, id_col: str = "doc_id",
 
 
 def fitted(docs: DataFrame, labels: DataFrame) -> InsultKernelSVM | None:
-    return train(*training_rows(docs, labels, "toxic", SAMPLE_ROWS, SAMPLE_BYTES))
+    texts, y = training_rows(docs, labels, "toxic", SAMPLE_ROWS, SAMPLE_BYTES)
+    collect_garbage(docs.sparkSession)  # the driver's two processes don't both hold what either has freed
+    svm = train(texts, y)
+    collect_garbage(docs.sparkSession)
+    return svm
 
 
 def toxicity(docs: DataFrame, labels: DataFrame) -> DataFrame:

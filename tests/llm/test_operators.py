@@ -8,7 +8,7 @@ import zlib
 import duckdb
 import numpy as np
 import pytest
-from geocensus.llm import byte_convnet, exact_dedup, mixing, near_dup, page_text, piece_codec, pii, quality_rules, repeats, toxicity
+from geocensus.llm import byte_convnet, exact_dedup, mixing, near_dup, page_text, piece_codec, pii, quality_rules, repeats, shared, toxicity
 from geocensus.llm.queries import model_path, read
 from geocensus.llm.shared import words_py
 
@@ -71,6 +71,35 @@ def test_large_group_of_near_copies_is_split(spark, monkeypatch):
         assert g["n_links"] == sum(1 for j, b in enumerate(sets) if j != g["doc_id"] and len(sets[g["doc_id"]] & b) * 5 >= 4 * len(sets[g["doc_id"]] | b))
 
 
+@pytest.mark.parametrize("edges, tables", [([(1, 2), (3, 1), (7, 8), (9, 9)], 1), ([], 1), ([(5, 1), (5, 2), (6, 5)], None), ([(i, i + 1) for i in range(20)], None)])
+def test_components_write_and_broadcast_no_more_than_needed(spark, monkeypatch, edges, tables):
+    """Stars are found to be settled as they are; no round leaves a broadcast table with the driver."""
+    written, write = [], shared.materialise
+    monkeypatch.setattr(shared, "materialise", lambda d, label: (written.append(d), write(d, label))[1])
+    got = shared.connected_components(spark.createDataFrame(edges, "a long, b long"), "test-components").collect()
+    forest = shared.Forest(50)
+    for a, b in edges:
+        forest.join(a, b)
+    assert sorted(map(tuple, got)) == sorted((x, forest.find(x)) for x in {x for a, b in edges if a != b for x in (a, b)})
+    assert tables is None or len(written) == tables
+    for d in written:
+        d.collect()
+        assert "BroadcastHashJoin" not in d._jdf.queryExecution().executedPlan().toString()
+
+
+def test_driver_gives_back_what_it_freed(spark):
+    def held():
+        with open("/proc/self/smaps_rollup") as f:
+            return int(re.search(r"Pss_Anon:\s+(\d+)", f.read())[1])
+
+    many = [np.ones(8000) for _ in range(1600)]  # 100 MB in pieces that malloc doesn't map on their own
+    last, many = many[-1], None
+    before = held()
+    shared.collect_garbage(spark)
+    assert before - held() > 50_000 and last[0] == 1
+    assert "Trim native heap" in shared._trim(spark)
+
+
 def test_pruning_keeps_likely_pairs():
     need = near_dup.least_matches()
     assert need[100] <= 62 and need[10] <= 3 and list(need) == list(range(10, 101, 10))
